@@ -10,6 +10,8 @@ from __future__ import annotations
 
 import base64
 import re
+import sys
+from array import array
 from heapq import heappop, heappush
 
 import numpy as np
@@ -35,70 +37,64 @@ def read_ranks(data: bytes) -> dict[bytes, int]:
     return {base64.b64decode(token): int(rank) for token, rank in (line.split() for line in data.splitlines() if line)}
 
 
-class RankQueue:
-    """Positions by rank: the lowest rank comes first, and within a rank the leftmost position."""
-
-    def __init__(self) -> None:
-        self.buckets: dict[int, list[int]] = {}
-        self.words: dict[int, int] = {}
-        self.top = 0
-
-    def push(self, rank: int, position: int) -> None:
-        bucket = self.buckets.get(rank)
-        if bucket:
-            heappush(bucket, position)
-            return
-        self.buckets[rank] = [position]
-        word = rank >> WORD_BITS
-        self.words[word] = self.words.get(word, 0) | 1 << (rank & (1 << WORD_BITS) - 1)
-        self.top |= 1 << word
-
-    def pop(self) -> tuple[int, int]:
-        word = (self.top & -self.top).bit_length() - 1
-        bits = self.words[word]
-        low = bits & -bits
-        rank = (word << WORD_BITS) + low.bit_length() - 1
-        bucket = self.buckets[rank]
-        position = heappop(bucket)
-        if not bucket:
-            bits ^= low
-            self.words[word] = bits
-            if not bits:
-                self.top ^= 1 << word
-        return rank, position
-
-
 def merge(piece: bytes, ranks: dict[bytes, int], longest: int) -> list[int]:
-    """Ids of one pre-token: the pair of lowest rank is merged until no pair is in the vocabulary."""
-    n = len(piece)
+    """Ids of one pre-token: the pair of lowest rank is merged until no pair is in the vocabulary. The queue's steps stand in the loop
+    itself, since most pre-tokens are short and calls would take most of the time."""
+    n, get = len(piece), ranks.get
     after, before = list(range(1, n + 1)), list(range(-1, n - 1))
     pair = [-1] * (n + 1)
-    queue = RankQueue()
+    buckets: dict[int, list[int]] = {}
+    words: dict[int, int] = {}
+    top = 0
+    low_bits = (1 << WORD_BITS) - 1
     for i in range(n - 1):
-        rank = ranks.get(piece[i : i + 2])
+        rank = get(piece[i : i + 2])
         if rank is not None:
             pair[i] = rank
-            queue.push(rank, i)
-    while queue.top:
-        rank, i = queue.pop()
+            if rank in buckets:
+                buckets[rank].append(i)  # ascending, so still a heap
+            else:
+                buckets[rank] = [i]
+                word = rank >> WORD_BITS
+                words[word] = words.get(word, 0) | 1 << (rank & low_bits)
+                top |= 1 << word
+    while top:
+        # find first set: word, then rank
+        word = (top & -top).bit_length() - 1
+        bits = words[word]
+        low = bits & -bits
+        rank = (word << WORD_BITS) + low.bit_length() - 1
+        bucket = buckets[rank]
+        i = heappop(bucket)
+        if not bucket:
+            del buckets[rank]
+            words[word] = bits ^ low
+            if bits == low:
+                top ^= 1 << word
         if pair[i] != rank:
             continue  # the pair has changed since
         gone = after[i]
         follows = after[gone]
         after[i] = follows
         pair[gone] = pair[i] = -1
+        left = before[i]
+        changed = ()
         if follows < n:
             before[follows] = i
-            end = after[follows]
-            if end - i <= longest and (new := ranks.get(piece[i:end])) is not None:
-                pair[i] = new
-                queue.push(new, i)
-        left = before[i]
+            changed = ((i, after[follows]),)
         if left >= 0:
             pair[left] = -1
-            if follows - left <= longest and (new := ranks.get(piece[left:follows])) is not None:
-                pair[left] = new
-                queue.push(new, left)
+            changed += ((left, follows),)
+        for at, end in changed:
+            if end - at <= longest and (new := get(piece[at:end])) is not None:
+                pair[at] = new
+                if new in buckets:
+                    heappush(buckets[new], at)
+                else:
+                    buckets[new] = [at]
+                    word = new >> WORD_BITS
+                    words[word] = words.get(word, 0) | 1 << (new & low_bits)
+                    top |= 1 << word
     out, i = [], 0
     while i < n:
         out.append(ranks[piece[i : after[i]]])
@@ -119,7 +115,10 @@ class Encoder(dict):
     def __missing__(self, token: str) -> bytes:
         piece = token.encode()
         whole = self.ranks.get(piece)
-        packed = np.array([whole] if whole is not None else merge(piece, self.ranks, self.longest), dtype="<u4").tobytes()
+        packed = array("I", [whole] if whole is not None else merge(piece, self.ranks, self.longest))
+        if sys.byteorder == "big":
+            packed.byteswap()
+        packed = packed.tobytes()
         if len(piece) <= 64:
             if len(self) >= REMEMBERED:
                 self.clear()

@@ -54,9 +54,10 @@ class Scratch:
         self.root = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
         _ROOTS[self.root] = spark
 
-    def save(self, df: DataFrame, name: str) -> DataFrame:
+    def save(self, df: DataFrame, name: str, few: bool = False) -> DataFrame:
+        """Writes a table and reads it again. `few`: in two files a core at most, for results of a shuffle that are small against it."""
         path = f"{self.root}/{name}"
-        df.write.mode("overwrite").parquet(path)
+        (df.coalesce(2 * self.spark.sparkContext.defaultParallelism) if few else df).write.mode("overwrite").parquet(path)
         return self.spark.read.schema(df.schema).parquet(path)
 
     def drop(self, name: str) -> None:

@@ -123,14 +123,15 @@ def _sets(batches, width: int):
 def components(edges: DataFrame, scratch: Scratch, name: str) -> DataFrame:
     """(id, comp) for each end of the undirected edges (a, b): the least id reachable. Least labels spread over the edges and jump
     through their labels' labels, so that rounds grow with the logarithm of a component's width; each round is a written table."""
-    both = scratch.save(edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), f"{name}-edges")
-    labels = scratch.save(both.groupBy("a").agg(F.least("a", F.min("b")).alias("comp")).select(F.col("a").alias("id"), "comp"), f"{name}-0")
-    for i in range(1, 100):
+    both = scratch.save(edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), f"{name}-edges", few=True)
+    labels = scratch.save(both.groupBy("a").agg(F.least("a", F.min("b")).alias("comp")).select(F.col("a").alias("id"), "comp"), f"{name}-0", few=True)
+    for i in range(1, 200):
         near = both.join(labels.withColumnRenamed("id", "b"), "b").groupBy("a").agg(F.min("comp").alias("near"))
         low = labels.join(near, labels.id == near.a).select("id", "comp", F.least("comp", "near").alias("low"))
         jump = labels.select(F.col("id").alias("low"), F.col("comp").alias("far"))
-        new = scratch.save(low.join(jump, "low", "left").select("id", F.least("low", F.coalesce("far", "low")).alias("new"), (F.least("low", F.coalesce("far", "low")) != F.col("comp")).alias("moved")), f"{name}-{i}")
-        moved = new.filter("moved").limit(1).count()
+        new = low.join(jump, "low", "left").select("id", F.least("low", F.coalesce("far", "low")).alias("new"), (F.least("low", F.coalesce("far", "low")) != F.col("comp")).alias("moved"))
+        new = scratch.save(new, f"{name}-{i}", few=True)
+        moved = not new.filter("moved").isEmpty()
         scratch.drop(f"{name}-{i - 1}")
         labels = new.select("id", F.col("new").alias("comp"))
         if not moved:
@@ -182,35 +183,34 @@ def near_duplicates(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
     sketch = scratch.save(sketch_table(docs, id_col=id_col, text_col=text_col, width=width, rows=rows, bands=bands), "sketch")
     usable = sketch.filter("n > 0 and id is not null")
     # equal sets: one representative
-    copies = scratch.save(usable.groupBy("f1", "f2", "n").agg(F.min("id").alias("rep")), "copies")
+    copies = scratch.save(usable.groupBy("f1", "f2", "n").agg(F.min("id").alias("rep")), "copies", few=True)
     member = usable.select("f1", "f2", "n", "id").join(copies, ["f1", "f2", "n"]).select("id", "rep").filter("id <> rep").distinct()
     reps = usable.join(copies.select("f1", "f2", F.col("rep").alias("id")), ["f1", "f2", "id"], "left_semi")
 
     keyed = reps.select(F.explode("keys").alias("key"), "id", "n")
     stars = keyed.groupBy("key").agg(F.min("id").alias("centre"), F.max("id").alias("last")).filter("centre <> last").select("key", "centre")
-    shared = scratch.save(keyed.join(stars, "key"), "buckets")
+    shared = scratch.save(keyed.join(stars, "key"), "shared", few=True)
     sizes = copies.select(F.col("rep").alias("centre"), F.col("n").alias("m"))
     fits = (100 * F.least("n", "m") >= percent * F.greatest("n", "m"))
     pairs = shared.filter("id <> centre").select("centre", "id", "n").distinct().join(sizes, "centre").filter(fits)
-    pairs = scratch.save(pairs.select(F.col("centre").alias("a"), F.col("id").alias("b")).distinct(), "pairs")
+    pairs = scratch.save(pairs.select(F.col("centre").alias("a"), F.col("id").alias("b")).distinct(), "pairs", few=True)
 
     held = shared.select("id").distinct()
     source = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("binary").alias("text")).join(held, "id", "left_semi")
     sets = source.mapInArrow(lambda b: _sets(b, width), "id long, set array<long>")
     paired = pairs.select(F.col("a").alias("id")).unionByName(pairs.select(F.col("b").alias("id"))).distinct()
-    links = scratch.save(confirm(pairs, sets.join(paired, "id", "left_semi"), percent), "links")
+    links = scratch.save(confirm(pairs, sets.join(paired, "id", "left_semi"), percent), "links", few=True)
     found = components(links, scratch, "star")
 
     # buckets with more than one component are finished exactly
     lab = shared.select("key", "id").join(found, "id", "left").select("key", "id", F.coalesce("comp", "id").alias("comp"))
     mixed = lab.groupBy("key").agg(F.min("comp").alias("c1"), F.max("comp").alias("c2")).filter("c1 <> c2").select("key")
-    members = scratch.save(lab.join(mixed, "key", "left_semi").select("id", "comp").distinct(), "members")
-    rest_sets = scratch.save(sets.join(members.select("id"), "id", "left_semi"), "sets")
-    more = scratch.save(_finish(members, rest_sets, percent), "more")
+    members = scratch.save(lab.join(mixed, "key", "left_semi").select("id", "comp").distinct(), "members", few=True)
+    rest_sets = scratch.save(sets.join(members.select("id"), "id", "left_semi"), "rest_sets", few=True)
+    more = scratch.save(_finish(members, rest_sets, percent), "more", few=True)
     more_links = confirm(more, rest_sets, percent)
     every = links.unionByName(more_links).unionByName(member.select(F.col("rep").alias("a"), F.col("id").alias("b")))
     comps = components(every, scratch, "all")
-    for name in ("sets", "buckets", "pairs", "links", "members", "more"):
+    for name in ("copies", "shared", "pairs", "links", "members", "rest_sets", "more", "star-edges", "all-edges"):
         scratch.drop(name)
-    joined = sketch.select("id", "n").join(comps, "id", "left")
-    return joined.select("id", F.col("n").alias("n_shingles"), F.coalesce("comp", "id").alias("component_id"))
+    return sketch.select("id", "n").join(comps, "id", "left").select("id", F.col("n").alias("n_shingles"), F.coalesce("comp", "id").alias("component_id"))

@@ -32,6 +32,15 @@ def op5_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select(F.col("id").alias("doc_id"), "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), items.alias("items_sha256"), "contaminated")
 
 
+def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from semimul.llm import toxicity
+
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    model = toxicity.fit(docs, table(spark, sf_dir, "labels"))
+    scored = toxicity.score(docs, model, name="score")
+    return scored.select("doc_id", toxicity.held_out(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= 0.7).cast("int").alias("predicted"))
+
+
 def op9_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     from semimul.llm.bpe import decode, encode
 
@@ -39,7 +48,7 @@ def op9_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return done.select("doc_id", "n_tokens", F.sha2("ids", 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
 
 
-QUERIES = {f.__name__: f for f in (op2_near_dedup, op5_decontamination, op7_line_dedup, op9_byte_bpe)}
+QUERIES = {f.__name__: f for f in (op2_near_dedup, op5_decontamination, op7_line_dedup, op8_toxicity, op9_byte_bpe)}
 
 ORACLES = {
     "op5_decontamination": r"""
@@ -48,8 +57,11 @@ d AS (SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text,
 b AS (SELECT item_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), u, l), '[\x00-\x2F\x3A-\x60\x7B-\x7F]+'), lambda x: x <> '') AS w FROM benchmark, tr),
 bw AS (SELECT DISTINCT item_id, least(len(w), 13) AS n, array_to_string(w[s:s + 12], ' ') AS t
        FROM (SELECT item_id, w, unnest(range(1, greatest(len(w) - 12, 1) + 1)) AS s FROM b WHERE len(w) > 0)),
-dw AS (SELECT doc_id, s, m, array_to_string(w[s:s + m - 1], ' ') AS t
-       FROM (SELECT doc_id, w, m, unnest(range(1, len(w) - m + 2)) AS s FROM d, (SELECT DISTINCT n AS m FROM bw))),
+dx AS (SELECT doc_id, unnest(w) AS x, generate_subscripts(w, 1) AS s FROM d),
+d13 AS (SELECT doc_id, s, string_agg(x, ' ') OVER (PARTITION BY doc_id ORDER BY s ROWS BETWEEN CURRENT ROW AND 12 FOLLOWING) AS t,
+        count(*) OVER (PARTITION BY doc_id ORDER BY s ROWS BETWEEN CURRENT ROW AND 12 FOLLOWING) AS c FROM dx),
+dw AS (SELECT doc_id, s, m, CASE WHEN m = 13 THEN t ELSE array_to_string(string_split(t, ' ')[1:m], ' ') END AS t
+       FROM d13, (SELECT DISTINCT n AS m FROM bw) WHERE c >= m),
 h AS (SELECT DISTINCT doc_id, s, m, item_id FROM dw JOIN bw ON dw.t = bw.t AND dw.m = bw.n),
 p AS (SELECT doc_id, count(DISTINCT pos) AS n_hit FROM (SELECT doc_id, unnest(range(s, s + m)) AS pos FROM h) GROUP BY doc_id),
 i AS (SELECT doc_id, count(*) AS n_items, string_agg(item_id::VARCHAR, ',' ORDER BY item_id::VARCHAR) AS items FROM (SELECT DISTINCT doc_id, item_id FROM h) GROUP BY doc_id)
