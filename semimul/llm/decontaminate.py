@@ -26,22 +26,22 @@ def words(text: Column) -> Column:
     return F.array_remove(F.split(lower_ascii(F.coalesce(text, F.lit(""))), r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"), "")
 
 
-def _shingles(name: str, width: int, whole: bool = False) -> Column:
-    """Hash of the shingle at each position of the words in column `name`; `whole`: 0 at the places where too few words follow."""
-    parts = ", ".join(f"{name}[i + {k}]" for k in range(width))
-    made, last = f"xxhash64({width}, {parts})", f"size({name}) - {width}"
-    if whole:
-        made, last = f"IF(i + {width} <= size({name}), {made}, 0L)", f"size({name}) - 1"
-    return F.expr(f"CASE WHEN {last} >= 0 THEN transform(sequence(0, {last}), i -> {made}) ELSE CAST(array() AS array<bigint>) END")
+def _shingles(w: Column, width: int, whole: bool = False) -> Column:
+    """Hash of the shingle at each position of the words; `whole`: 0 at the places where too few words follow."""
+    last = F.size(w) - (1 if whole else width)
+    made = lambda i: F.xxhash64(F.lit(width), *[F.get(w, i + k) for k in range(width)])
+    each = F.transform(F.sequence(F.lit(0), last), lambda i: F.when(i + width <= F.size(w), made(i)).otherwise(F.lit(0).cast("long")))
+    return F.when(last >= 0, each).otherwise(F.expr("CAST(array() AS array<bigint>)"))
 
 
 def windows(items: DataFrame, *, id_col: str = "item_id", text_col: str = "text", size: int = 13) -> DataFrame:
     """(wid, item, len, width, hashes): the windows of the items; equal windows have equal wid."""
-    cut = items.select(F.col(id_col).alias("item"), words(F.col(text_col)).alias("w")).filter(F.size("w") > 0)
-    cut = cut.select("item", F.explode(F.expr(f"transform(sequence(0, greatest(size(w) - {size}, 0)), s -> slice(w, s + 1, {size}))")).alias("w"))
-    hashes = F.when(F.size("w") >= SHINGLE, _shingles("w", SHINGLE))
+    each = lambda w: F.transform(F.sequence(F.lit(0), F.greatest(F.size(w) - size, F.lit(0))), lambda s: F.slice(w, s + 1, F.lit(size)))
+    cut = items.select(F.col(id_col).alias("item"), F.explode(F.transform(F.array(words(F.col(text_col))), each)).alias("ws"))
+    cut = cut.select("item", F.explode("ws").alias("w")).filter(F.size("w") > 0)
+    hashes = F.when(F.size("w") >= SHINGLE, _shingles(F.col("w"), SHINGLE))
     for width in range(1, SHINGLE):
-        hashes = hashes.when(F.size("w") == width, _shingles("w", width))
+        hashes = hashes.when(F.size("w") == width, _shingles(F.col("w"), width))
     return cut.select(F.sha2(F.array_join("w", " ").cast("binary"), 256).alias("wid"), "item", F.size("w").alias("len"), F.least(F.size("w"), F.lit(SHINGLE)).alias("width"), hashes.alias("hashes"))
 
 
@@ -60,9 +60,9 @@ def contamination(docs: DataFrame, items: DataFrame, *, id_col: str = "doc_id",
     small = needed.count() <= BROADCAST_SHINGLES
     widths = sorted(r.width for r in unique.select("width").distinct().collect())  # four at most
 
-    cut = docs.select(F.col(id_col).alias("id"), words(F.col(text_col)).alias("w"))
-    hashes = F.concat(F.expr(f"array({_MARK})"), *[_shingles("w", width, whole=True) for width in widths])
-    hashed = cut.select("id", F.size("w").alias("n"), hashes.alias("hs"))
+    # bound as a lambda's variable the words are cut once a document; as a column they would be cut again at each position
+    made = F.transform(F.array(words(F.col(text_col))), lambda w: F.struct(F.size(w).alias("n"), F.concat(F.expr(f"array({_MARK})"), *[_shingles(w, width, whole=True) for width in widths]).alias("hs")))
+    hashed = docs.select(F.col(id_col).alias("id"), F.inline(made))
     spread = hashed.select("id", "n", F.posexplode("hs").alias("at", "h"))
     wanted = needed.unionByName(docs.sparkSession.sql(f"SELECT {_MARK} AS h"))
     met = scratch.save(spread.join(F.broadcast(wanted) if small else wanted, "h"), "met")
