@@ -1,0 +1,245 @@
+"""Personal data by candidate boosting.
+
+Fixed patterns give the base spans, which always stay. Wider generators propose more spans, in forms that the patterns miss (spelled-out
+addresses, numbers without a country code, numbers with a label before them). Boosted trees over format and context features, trained on
+the generated table of `training_rows`, give each proposal a probability; a threshold for each kind, set on a calibration part of that
+table, selects.
+"""
+
+from __future__ import annotations
+
+import re
+from functools import lru_cache
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from semimul.llm.common import chunks
+
+KINDS = ("email", "ip", "card", "phone")
+
+# The base patterns. The first part of an address is found backwards from its "@", which finds the same spans in linear time.
+_DOMAIN = re.compile(r"@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
+_LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
+_IP = re.compile(r"(?<![0-9])[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++")
+_CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])+")
+_PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
+
+# Wider proposals.
+_SPELLED = re.compile(r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9][A-Za-z0-9._%+-]{0,63}\s?(?:\(at\)|\[at\]|\{at\}|<at>|\sat\s)\s?[A-Za-z0-9-]{1,63}(?:(?:\s?(?:\(dot\)|\[dot\]|\{dot\})\s?|\sdot\s|\.)[A-Za-z0-9-]{1,63}){1,4}", re.I)
+_NUMBER = re.compile(r"(?<![0-9A-Za-z+.#_/-])(?:\(?0[0-9]{1,4}\)?|00[0-9]{1,3}|\([0-9]{2,4}\)|[0-9]{3})(?:[\x20./-]?\(?[0-9]{2,5}\)?){1,5}(?![0-9A-Za-z])")
+_IP6 = re.compile(r"(?<![0-9A-Fa-f:.])(?:[0-9A-Fa-f]{1,4}:){4,7}(?::?[0-9A-Fa-f]{1,4})(?![0-9A-Fa-f:])")
+_DIGIT = re.compile(r"[0-9]")
+
+# Words that stand before or after data of a kind.
+_HINTS = {
+    "email": {"mail", "email", "e-mail", "contact", "write", "reach", "kontakt", "correo", "courriel", "address"},
+    "phone": {"phone", "tel", "telephone", "call", "mobile", "cell", "fax", "telefon", "teléfono", "téléphone", "ring", "text", "whatsapp", "dial", "contact"},
+    "ip": {"ip", "ipv6", "host", "address", "server", "addr", "client", "login"},
+    "card": {"card", "visa", "mastercard", "amex", "credit", "debit", "karte", "tarjeta", "carte"},
+}
+_AGAINST = {"order", "invoice", "isbn", "issn", "version", "ticket", "id", "ref", "no", "number", "nr", "article", "item", "sku", "page", "pages", "year", "total", "price", "chapter", "figure", "table", "section", "doi", "code", "serial", "model", "case", "part", "key", "token", "hash", "date"}
+_TLDS = {"com", "org", "net", "edu", "gov", "io", "de", "fr", "es", "uk", "eu", "info", "co", "us", "ch", "at", "it"}
+_WORD = re.compile(r"[^\W\d_]+(?:-[^\W\d_]+)?")
+
+
+def luhn(digits: str) -> bool:
+    total = 0
+    for i, c in enumerate(reversed(digits)):
+        d = ord(c) - 48
+        total += d if i % 2 == 0 else (2 * d - 9 if d > 4 else 2 * d)
+    return total % 10 == 0
+
+
+def base_spans(text: str) -> list[tuple[int, int, int]]:
+    """(start, kind's number, end) of the base spans, sorted; matches of a kind do not overlap, and failing ones are dropped."""
+    found = []
+    last, at = 0, text.find("@")
+    while at >= 0:
+        start = at
+        while start > last and text[start - 1] in _LOCAL:
+            start -= 1
+        m = _DOMAIN.match(text, at) if start < at else None
+        if m:
+            found.append((start, 0, m.end()))
+            last = m.end()
+        at = text.find("@", max(at + 1, last))
+    if _DIGIT.search(text):
+        for m in _IP.finditer(text):
+            if all(len(p.lstrip("0")) <= 3 and int(p.lstrip("0") or "0") <= 255 for p in m[0].split(".")):
+                found.append((m.start(), 1, m.end()))
+        for m in _CARD.finditer(text):
+            if m.end() - m.start() >= 14 and 14 <= len(d := m[0].replace(" ", "").replace("-", "")) <= 19 and luhn(d):
+                found.append((m.start(), 2, m.end()))
+        if "+" in text:
+            for m in _PHONE.finditer(text):
+                if 10 <= sum("0" <= c <= "9" for c in m[0]) <= 15:
+                    found.append((m.start(), 3, m.end()))
+    return sorted(found)
+
+
+def proposals(text: str) -> list[tuple[int, int, int]]:
+    """Overlapping spans of a kind each that might be personal data beside the base spans."""
+    found = []
+    if "at" in text or "AT" in text:
+        found += [(m.start(), 0, m.end()) for m in _SPELLED.finditer(text)]
+    if _DIGIT.search(text):
+        found += [(m.start(), 3, m.end()) for m in _NUMBER.finditer(text) if 9 <= sum("0" <= c <= "9" for c in m[0]) <= 15]
+        if ":" in text:
+            found += [(m.start(), 1, m.end()) for m in _IP6.finditer(text)]
+    return found
+
+
+def features(text: str, span: tuple[int, int, int]) -> list[float]:
+    start, kind, end = span
+    got = text[start:end]
+    before = _WORD.findall(text[max(0, start - 40) : start].lower())
+    after = _WORD.findall(text[end : end + 30].lower())
+    hints = _HINTS[KINDS[kind]]
+    digits = sum("0" <= c <= "9" for c in got)
+    marked = sum(c in "([{<" for c in got)
+    tail = re.split(r"[^A-Za-z0-9-]+", got.rstrip(")]}>"))[-1].lower()
+    groups = re.findall(r"[0-9]+", got)
+    return [
+        float(kind), float(len(got)), float(digits), digits / max(1, len(got)), float(marked), float(tail in _TLDS), float(len(groups)), float(max(map(len, groups), default=0)),
+        float(bool(hints & set(before[-3:]))), float(bool(hints & set(after[:2]))), float(bool(_AGAINST & set(before[-2:]))), float(got[:1] == "0" or got[:2] == "(0"), float(got.count(" ")), float(got.count(".")), float(got.count("-")),
+        float(text[max(0, start - 2) : start].rstrip().endswith((":", "="))), float(luhn("".join(groups))), float(len(got.split("at", 1)[0].split()) if kind == 0 else 0),
+    ]
+
+
+def training_rows(seed: int = 7, rounds: int = 400) -> list[tuple[str, tuple[int, int, int], int]]:
+    """A generated table of labelled proposals: text, span, and whether the span is personal data."""
+    rng = np.random.default_rng(seed)
+    pick = lambda xs: xs[int(rng.integers(len(xs)))]
+    num = lambda n: "".join(map(str, rng.integers(0, 10, n)))
+    names, hosts = ["anna.b", "j_smith", "info", "m-lopez", "kay", "office77", "pierre", "hans.m"], ["mailbox", "example", "webpost", "acme", "uni-x", "corp"]
+    filler = ["the results were", "he waited", "and then", "in the", "we met", "it was", "des mots", "und dann", "para que", "that evening"]
+    made = []
+    for _ in range(rounds):
+        a, o, c = pick(["(at)", "[at]", "{at}", " at "]), pick(["(dot)", "[dot]", ".", " dot "]), pick(["com", "org", "de", "fr", "es", "net"])
+        sp = pick(["", " "]) if "(" in a or "[" in a or "{" in a else ""
+        made += [
+            (pick(["mail me: ", "contact ", "write to ", "", "e-mail "]) + pick(filler) * int(rng.integers(2)) + " ", pick(names) + sp + a + sp + pick(hosts) + o + c, pick([" soon", ", please", "", " today"]), 0, 1),
+            (pick(filler) + " ", pick(["look", "stay", "meet", "arrived", "was"]) + " at " + pick(["home", "noon", "work", "once", "least"]) + "." + pick(["we", "they", "it", "the", "then", "at"]), " went on", 0, 0),
+            (pick(["call ", "phone: ", "tel. ", "fax ", "my mobile is ", "dial "]), pick([f"0{num(3)} {num(3)} {num(4)}", f"({num(3)}) {num(3)}-{num(4)}", f"{num(3)}-{num(3)}-{num(4)}", f"0{num(3)}/{num(7)}", f"0{num(2)}.{num(2)}.{num(2)}.{num(2)}.{num(2)}"[:16], f"00{num(2)} {num(3)} {num(3)} {num(4)}"]), pick([" now", ".", " after six", ""]), 3, 1),
+            (pick(["order ", "invoice no ", "isbn ", "ticket ", "version ", "ref ", "id ", "token ", "item ", "total "]), pick([f"{num(3)}-{num(3)}-{num(4)}", f"{num(10)}", f"0{num(3)} {num(3)} {num(4)}", f"{num(3)} {num(3)} {num(3)}", f"{num(16)}"[:15]]), pick([" was", ".", " today", ""]), 3, 0),
+            (pick(filler) + " ", pick([f"{num(10)}", f"{num(12)}", f"{num(3)} {num(4)} {num(4)}", f"{num(3)}.{num(3)}.{num(3)}"]), pick([" of", ".", " and", ""]), 3, 0),
+            (pick(["ip ", "host ", "from address ", "client "]), ":".join("%x" % rng.integers(0x1000, 0xFFFF) for _ in range(8)), pick([" at", ".", ""]), 1, 1),
+            (pick(filler) + " ", ":".join(num(2) for _ in range(6)), pick([" of", ".", ""]), 1, 0),
+        ]
+    return [(b + g + a, (len(b), k, len(b) + len(g)), y) for b, g, a, k, y in made]
+
+
+class Boosted:
+    """Gradient-boosted stumps and small trees for the logistic loss, and a threshold for each kind."""
+
+    def __init__(self, trees: int = 60, depth: int = 3, rate: float = 0.2):
+        self.trees, self.depth, self.rate = trees, depth, rate
+        self.grown: list = []
+        self.start = 0.0
+        self.thresholds: dict[int, float] = {}
+
+    def _grow(self, x, g, h, depth):
+        leaf = float(-g.sum() / (h.sum() + 1.0))
+        if depth == 0 or len(g) < 10:
+            return leaf
+        best, gain0 = None, g.sum() ** 2 / (h.sum() + 1.0)
+        for f in range(x.shape[1]):
+            order = np.argsort(x[:, f], kind="stable")
+            v, gs, hs = x[order, f], np.cumsum(g[order]), np.cumsum(h[order])
+            gain = (gs**2 / (hs + 1.0) + (gs[-1] - gs) ** 2 / (hs[-1] - hs + 1.0))[:-1]
+            gain = np.where(v[1:] > v[:-1], gain, -np.inf)
+            if len(gain) and gain.max() > gain0 + 1e-6 and (best is None or gain.max() > best[0]):
+                k = int(gain.argmax())
+                best = (gain[k], f, (v[k] + v[k + 1]) / 2)
+        if best is None:
+            return leaf
+        low = x[:, best[1]] <= best[2]
+        return (best[1], float(best[2]), self._grow(x[low], g[low], h[low], depth - 1), self._grow(x[~low], g[~low], h[~low], depth - 1))
+
+    @staticmethod
+    def _out(node, row) -> float:
+        while isinstance(node, tuple):
+            node = node[2] if row[node[0]] <= node[1] else node[3]
+        return node
+
+    def raw(self, row) -> float:
+        return self.start + self.rate * sum(self._out(t, row) for t in self.grown)
+
+    def probability(self, row) -> float:
+        return float(1 / (1 + np.exp(-np.clip(self.raw(row), -30, 30))))
+
+    def fit(self, x: np.ndarray, y: np.ndarray, kinds: np.ndarray, precision: float = 0.98) -> Boosted:
+        """Two thirds of the rows grow the trees; on the rest each kind's threshold is the least that keeps `precision`."""
+        part = np.arange(len(y)) % 3 == 0
+        tx, ty = x[~part], y[~part]
+        self.start = float(np.log((ty.mean() + 1e-6) / (1 - ty.mean() + 1e-6)))
+        z = np.full(len(ty), self.start)
+        for _ in range(self.trees):
+            p = 1 / (1 + np.exp(-z))
+            tree = self._grow(tx, p - ty, p * (1 - p), self.depth)
+            self.grown.append(tree)
+            z += self.rate * np.array([self._out(tree, r) for r in tx.tolist()])
+        p = np.array([self.probability(r) for r in x[part].tolist()])
+        for kind in set(kinds.tolist()):
+            of = kinds[part] == kind
+            cuts = [c for c in np.linspace(0.5, 0.99, 50) if (of & (p >= c)).any() and y[part][of & (p >= c)].mean() >= precision]
+            self.thresholds[int(kind)] = float(min(cuts)) if cuts else 2.0
+        return self
+
+
+@lru_cache(maxsize=1)
+def default_model() -> Boosted:
+    rows = training_rows()
+    x = np.array([features(t, s) for t, s, _ in rows])
+    return Boosted().fit(x, np.array([y for *_, y in rows], dtype=float), np.array([s[1] for _, s, _ in rows]))
+
+
+def all_spans(text: str, base: list[tuple[int, int, int]], model: Boosted) -> list[tuple[int, int, int]]:
+    """The base spans and the proposals that the model selects. Of overlapping proposals the likeliest stays, and one that overlaps a base
+    span goes."""
+    chosen: list[tuple[int, int, int]] = []
+    rated = [(p, s) for s in proposals(text) if (p := model.probability(features(text, s))) >= model.thresholds.get(s[1], 2.0)]
+    for _, s in sorted(rated, key=lambda r: (-r[0], r[1])):
+        if all(s[2] <= o[0] or s[0] >= o[2] for o in base) and all(s[2] <= o[0] or s[0] >= o[2] for o in chosen):
+            chosen.append(s)
+    return sorted(base + chosen)
+
+
+_SPAN = "array<struct<kind:string,start:int,end:int>>"
+_TYPE = pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int32()), ("end", pa.int32())]))
+
+
+def find(docs: DataFrame, *, text_col: str = "text", model: Boosted | None = None) -> DataFrame:
+    """`docs` with `base` and `spans` appended: arrays of (kind, start, end), in code points with the end exclusive, sorted by start and then
+    by kind (email, ip, card, phone). `spans` holds all of `base`.
+
+    Null and empty texts have none. Columns named base or spans in the input are replaced; repeated rows are searched each; an empty table
+    gives an empty result.
+    """
+    rest = [c for c in docs.columns if c not in ("base", "spans")]
+    source = docs.select(*rest, F.col(text_col).cast("string").alias("__in"))
+    told = lambda spans: [{"kind": KINDS[k], "start": s, "end": e} for s, k, e in spans]
+
+    def run(batches):
+        used = model or default_model()
+        for batch in batches:
+            texts = batch.column(len(rest)).to_pylist()
+            for start, end in chunks(texts):
+                base = [base_spans(t or "") for t in texts[start:end]]
+                spans = [all_spans(t or "", b, used) for t, b in zip(texts[start:end], base)]
+                made = [pa.array([told(b) for b in base], _TYPE), pa.array([told(s) for s in spans], _TYPE)]
+                yield pa.RecordBatch.from_arrays([batch.column(i).slice(start, end - start) for i in range(len(rest))] + made, names=[*rest, "base", "spans"])
+
+    return source.mapInArrow(run, docs.select(*rest).schema.add("base", _SPAN).add("spans", _SPAN))
+
+
+def redact(docs: DataFrame, *, text_col: str = "text", model: Boosted | None = None) -> DataFrame:
+    """`docs` with each span of `find` in the text replaced by its kind in brackets; of overlapping spans the first covers."""
+    found = find(docs, text_col=text_col, model=model)
+    text = F.col(text_col)
+    step = lambda acc, s: F.when(s["start"] >= acc["at"], F.struct(F.concat(acc["out"], F.substring(text, acc["at"] + 1, s["start"] - acc["at"]), F.lit("["), s["kind"], F.lit("]")).alias("out"), s["end"].alias("at"))).otherwise(F.struct(acc["out"].alias("out"), F.greatest(acc["at"], s["end"]).alias("at")))
+    done = F.aggregate("spans", F.struct(F.lit("").alias("out"), F.lit(0).alias("at")), step, lambda acc: F.concat(acc["out"], F.substring(text, acc["at"] + 1, F.length(text))))
+    return found.select(*[F.when(text.isNull(), text).otherwise(done).alias(c) if c == text_col else F.col(c) for c in docs.columns])
