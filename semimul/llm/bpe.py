@@ -25,8 +25,8 @@ from semimul.llm.common import chunks
 
 #: Ranks a bitmap word covers, as a power of two.
 WORD_BITS = 8
-#: Pre-tokens that are remembered at a time.
-REMEMBERED = 300_000
+#: Pre-tokens of a generation; two generations are remembered.
+REMEMBERED = 130_000
 
 # The public pattern over texts of ASCII characters alone, where its character classes are these ranges.
 _ASCII = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?[A-Za-z]+| ?[0-9]+| ?[^\t-\r A-Za-z0-9]+|[\t-\r ]+(?![^\t-\r ])|[\t-\r ]+")
@@ -103,16 +103,22 @@ def merge(piece: bytes, ranks: dict[bytes, int], longest: int) -> list[int]:
 
 
 class Encoder(dict):
-    """Packed ids (little-endian, 32 bits) of each pre-token; as a dict it remembers a bounded number of them."""
+    """Packed ids (little-endian, 32 bits) of each pre-token; as a dict it remembers a bounded number of them. When it is full its entries
+    become the older generation, from which those that come up again are taken back."""
 
     def __init__(self, data: bytes, pattern: str = public_tokenizers.PATTERN):
         super().__init__()
+        self.older: dict[str, bytes] = {}
         self.ranks = read_ranks(data)
         self.longest = max(map(len, self.ranks), default=0)
         self.pattern = regex.compile(pattern)
         self.ascii = _ASCII if pattern == public_tokenizers.PATTERN else self.pattern
 
     def __missing__(self, token: str) -> bytes:
+        known = self.older.get(token)
+        if known is not None:
+            self[token] = known
+            return known
         piece = token.encode()
         whole = self.ranks.get(piece)
         packed = array("I", [whole] if whole is not None else merge(piece, self.ranks, self.longest))
@@ -121,6 +127,7 @@ class Encoder(dict):
         packed = packed.tobytes()
         if len(piece) <= 64:
             if len(self) >= REMEMBERED:
+                self.older = dict(self)
                 self.clear()
             self[token] = packed
         return packed
