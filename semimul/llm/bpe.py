@@ -26,7 +26,7 @@ from semimul.llm.common import chunks
 #: Ranks a bitmap word covers, as a power of two.
 WORD_BITS = 8
 #: Pre-tokens of a generation; two generations are remembered.
-REMEMBERED = 130_000
+REMEMBERED = 350_000
 
 # The public pattern over texts of ASCII characters alone, where its character classes are these ranges.
 _ASCII = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?[A-Za-z]+| ?[0-9]+| ?[^\t-\r A-Za-z0-9]+|[\t-\r ]+(?![^\t-\r ])|[\t-\r ]+")
@@ -37,27 +37,34 @@ def read_ranks(data: bytes) -> dict[bytes, int]:
     return {base64.b64decode(token): int(rank) for token, rank in (line.split() for line in data.splitlines() if line)}
 
 
+#: Bits of a bitmap word.
+_BITS = tuple(1 << i for i in range(1 << WORD_BITS))
+_LOW = (1 << WORD_BITS) - 1
+
+
 def merge(piece: bytes, ranks: dict[bytes, int], longest: int) -> list[int]:
     """Ids of one pre-token: the pair of lowest rank is merged until no pair is in the vocabulary. The queue's steps stand in the loop
-    itself, since most pre-tokens are short and calls would take most of the time."""
+    itself, since most pre-tokens are short and calls would take most of the time. Ranks up to 65,535 take two levels of 256 bits; the
+    upper level is an integer of any length, so larger vocabularies only make it longer."""
     n, get = len(piece), ranks.get
-    after, before = list(range(1, n + 1)), list(range(-1, n - 1))
-    pair = [-1] * (n + 1)
+    after, before = list(range(1, n + 2)), list(range(-1, n))
+    pair = [get(piece[i : i + 2], -1) for i in range(n - 1)]
+    pair += (-1, -1)
     buckets: dict[int, list[int]] = {}
     words: dict[int, int] = {}
     top = 0
-    low_bits = (1 << WORD_BITS) - 1
-    for i in range(n - 1):
-        rank = get(piece[i : i + 2])
-        if rank is not None:
-            pair[i] = rank
+    for i, rank in enumerate(pair):
+        if rank >= 0:
             if rank in buckets:
                 buckets[rank].append(i)  # ascending, so still a heap
             else:
                 buckets[rank] = [i]
                 word = rank >> WORD_BITS
-                words[word] = words.get(word, 0) | 1 << (rank & low_bits)
-                top |= 1 << word
+                if word in words:
+                    words[word] |= _BITS[rank & _LOW]
+                else:
+                    words[word] = _BITS[rank & _LOW]
+                    top |= 1 << word
     while top:
         # find first set: word, then rank
         word = (top & -top).bit_length() - 1
@@ -68,37 +75,53 @@ def merge(piece: bytes, ranks: dict[bytes, int], longest: int) -> list[int]:
         i = heappop(bucket)
         if not bucket:
             del buckets[rank]
-            words[word] = bits ^ low
             if bits == low:
+                del words[word]
                 top ^= 1 << word
+            else:
+                words[word] = bits ^ low
         if pair[i] != rank:
             continue  # the pair has changed since
         gone = after[i]
         follows = after[gone]
         after[i] = follows
         pair[gone] = pair[i] = -1
-        left = before[i]
-        changed = ()
         if follows < n:
             before[follows] = i
-            changed = ((i, after[follows]),)
+            end = after[follows]
+            new = get(piece[i:end], -1) if end - i <= longest else -1
+            if new >= 0:
+                pair[i] = new
+                if new in buckets:
+                    heappush(buckets[new], i)
+                else:
+                    buckets[new] = [i]
+                    word = new >> WORD_BITS
+                    if word in words:
+                        words[word] |= _BITS[new & _LOW]
+                    else:
+                        words[word] = _BITS[new & _LOW]
+                        top |= 1 << word
+        left = before[i]
         if left >= 0:
-            pair[left] = -1
-            changed += ((left, follows),)
-        for at, end in changed:
-            if end - at <= longest and (new := get(piece[at:end])) is not None:
-                pair[at] = new
+            new = get(piece[left:follows], -1) if follows - left <= longest else -1
+            pair[left] = new
+            if new >= 0:
                 if new in buckets:
-                    heappush(buckets[new], at)
+                    heappush(buckets[new], left)
                 else:
-                    buckets[new] = [at]
+                    buckets[new] = [left]
                     word = new >> WORD_BITS
-                    words[word] = words.get(word, 0) | 1 << (new & low_bits)
-                    top |= 1 << word
+                    if word in words:
+                        words[word] |= _BITS[new & _LOW]
+                    else:
+                        words[word] = _BITS[new & _LOW]
+                        top |= 1 << word
     out, i = [], 0
     while i < n:
-        out.append(ranks[piece[i : after[i]]])
-        i = after[i]
+        end = after[i]
+        out.append(ranks[piece[i:end]])
+        i = end
     return out
 
 
@@ -199,3 +222,16 @@ def decode(encoded: DataFrame, *, ids_col: str = "ids", path: str | None = None)
     with open(path or public_tokenizers.path("byte_bpe_50k.tiktoken"), "rb") as f:
         data = encoded.sparkSession.sparkContext.broadcast(f.read())
     return _mapped(encoded, ids_col, {"decoded": "binary"}, lambda: _made(Decoder, data.value), lambda decoder, values: [pa.array([decoder.decode(v) if v else b"" for v in values], pa.binary())])
+
+
+def round_trip(docs: DataFrame, *, text_col: str = "text", path: str | None = None, pattern: str = public_tokenizers.PATTERN) -> DataFrame:
+    """`docs` with the columns of `encode` and `decode`, both made by one worker, so that the ids need not go to another and back."""
+    with open(path or public_tokenizers.path("byte_bpe_50k.tiktoken"), "rb") as f:
+        data = docs.sparkSession.sparkContext.broadcast(f.read())
+
+    def work(tools, values):
+        encoder, decoder = tools
+        ids = [encoder.encode(v.decode(errors="replace")) if v else b"" for v in values]
+        return [pa.array([len(x) // 4 for x in ids], pa.int64()), pa.array(ids, pa.binary()), pa.array(map(decoder.decode, ids), pa.binary())]
+
+    return _mapped(docs, text_col, {"n_tokens": "long", "ids": "binary", "decoded": "binary"}, lambda: (_made(Encoder, data.value, pattern), _made(Decoder, data.value)), work)

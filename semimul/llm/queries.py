@@ -82,9 +82,9 @@ def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
-    from semimul.llm.bpe import decode, encode
+    from semimul.llm.bpe import round_trip
 
-    done = decode(encode(table(spark, sf_dir, "documents").select("doc_id", "text")).drop("text"))
+    done = round_trip(table(spark, sf_dir, "documents").select("doc_id", "text"))
     return done.select("doc_id", "n_tokens", F.sha2("ids", 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
 
 
