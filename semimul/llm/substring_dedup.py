@@ -7,7 +7,7 @@ either side. A window of the wanted length therefore holds at least one symbol t
 of those is its anchor. Anchors, named with the words around them that every such window holds, are counted over all documents. Only
 windows at anchors that occur twice can repeat; these are verified by counting their own hashes, and give the words to remove.
 
-Equal keys within a batch of documents are settled there and sent on once, so that a passage held by very many documents reaches one task no
+Equal keys within a batch of documents are settled there and only one of them goes on to where the key is counted, so that a passage held by very many documents reaches one task no
 more often than there are batches.
 """
 
@@ -131,8 +131,13 @@ def _joined(texts: list[bytes | None], hashes: WordHashes) -> tuple[np.ndarray,
     return np.concatenate(parts) if parts else np.zeros(0, _U), np.concatenate(([0], np.cumsum([len(p) for p in parts])))
 
 
+def _spread(first: np.ndarray, places: np.ndarray) -> pa.Array:
+    """0 for the first row of each key in a batch; the others are settled and go anywhere."""
+    return pa.array(np.where(first, _U(0), mix64(places.astype(_U)) >> _U(33) | _U(1)).astype(np.int32))
+
+
 def _anchor_rows(batches, size: int):
-    """(name, id, pos, twice): anchors by name; `twice` where the batch itself holds the name again."""
+    """(name, id, pos, twice, salt): anchors by name; `twice` where the batch itself holds the name again."""
     hashes = WordHashes()
     for batch in batches:
         ids, texts = batch.column(0).to_numpy(zero_copy_only=False), batch.column(1).to_pylist()
@@ -145,12 +150,12 @@ def _anchor_rows(batches, size: int):
             first, last = first[place], last[place]
             name = Rolling(words).of(first - REACH, last + REACH)
             doc = np.searchsorted(bounds, first, side="right") - 1
-            _, twice = _settle(name)
-            yield pa.RecordBatch.from_arrays([pa.array(name.view(np.int64)), pa.array(ids[start:end][doc]), pa.array((first - bounds[doc]).astype(np.int32)), pa.array(twice)], names=["name", "id", "pos", "twice"])
+            once, twice = _settle(name)
+            yield pa.RecordBatch.from_arrays([pa.array(name.view(np.int64)), pa.array(ids[start:end][doc]), pa.array((first - bounds[doc]).astype(np.int32)), pa.array(twice), _spread(once, first)], names=["name", "id", "pos", "twice", "salt"])
 
 
 def _window_rows(batches, size: int):
-    """(h1, h2, id, pos, twice): hashes of the windows at repeated anchors."""
+    """(h1, h2, id, pos, twice, salt): hashes of the windows at repeated anchors."""
     hashes = WordHashes()
     for batch in batches:
         ids, texts, held = batch.column(0).to_numpy(zero_copy_only=False), batch.column(1).to_pylist(), batch.column(2).to_pylist()
@@ -163,8 +168,8 @@ def _window_rows(batches, size: int):
                 continue
             h1, h2 = Rolling(words).of(windows, windows + size), Rolling(words, _BASE2).of(windows, windows + size)
             doc = np.searchsorted(bounds, windows, side="right") - 1
-            _, twice = _settle(h1)
-            yield pa.RecordBatch.from_arrays([pa.array(h1.view(np.int64)), pa.array((h2 >> _U(32)).astype(np.uint32).view(np.int32)), pa.array(ids[start:end][doc]), pa.array((windows - bounds[doc]).astype(np.int32)), pa.array(twice)], names=["h1", "h2", "id", "pos", "twice"])
+            once, twice = _settle(h1, h2 >> _U(32))
+            yield pa.RecordBatch.from_arrays([pa.array(h1.view(np.int64)), pa.array((h2 >> _U(32)).astype(np.uint32).view(np.int32)), pa.array(ids[start:end][doc]), pa.array((windows - bounds[doc]).astype(np.int32)), pa.array(twice), _spread(once, windows)], names=["h1", "h2", "id", "pos", "twice", "salt"])
 
 
 def _cut(batches, size: int):
@@ -191,7 +196,7 @@ def _cut(batches, size: int):
 
 def _repeated(rows: DataFrame, keys: list[str]) -> DataFrame:
     """(id, pos) of the rows whose key occurs more than once. Where a batch has seen a key twice, that is known without a look at others."""
-    return rows.withColumn("n", F.count(F.lit(1)).over(Window.partitionBy(*keys))).filter("n > 1 or twice").select("id", "pos")
+    return rows.withColumn("n", F.count(F.lit(1)).over(Window.partitionBy(*keys, "salt"))).filter("n > 1 or twice").select("id", "pos")
 
 
 def remove_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", size: int = 35) -> DataFrame:
@@ -206,11 +211,11 @@ def remove_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
         raise ValueError(f"windows of at least {2 * REACH + 2 * (1 << ROUNDS) - 1} words are supported")
     source = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("binary").alias("text"))
     scratch = Scratch(docs.sparkSession, "substring-dedup")
-    rows = source.filter("id is not null").mapInArrow(lambda b: _anchor_rows(b, size), "name long, id long, pos int, twice boolean")
+    rows = source.filter("id is not null").mapInArrow(lambda b: _anchor_rows(b, size), "name long, id long, pos int, twice boolean, salt int")
     places = _repeated(rows, ["name"]).groupBy("id").agg(F.collect_set("pos").alias("places"))
     places = scratch.save(places, "anchors").withColumnRenamed("id", "at_id")
     dealt = source.join(places.hint("shuffle_hash"), F.col("id") == F.col("at_id")).select("id", "text", "places")
-    windows = dealt.mapInArrow(lambda b: _window_rows(b, size), "h1 long, h2 int, id long, pos int, twice boolean")
+    windows = dealt.mapInArrow(lambda b: _window_rows(b, size), "h1 long, h2 int, id long, pos int, twice boolean, salt int")
     starts = _repeated(windows, ["h1", "h2"]).groupBy("id").agg(F.collect_set("pos").alias("starts"))
     starts = scratch.save(starts, "windows").withColumnRenamed("id", "at_id")
     done = source.join(starts.hint("shuffle_hash"), F.col("id") == F.col("at_id"), "left").select("id", "text", "starts")
