@@ -22,6 +22,8 @@ from semimul.llm.common import Scratch, WordHashes, chunks, mix64
 ROWS, BANDS = 6, 48
 #: Draws a bin makes before it takes the next full bin in a circle.
 DRAWS = 64
+#: 64-bit words of a set's parity bitmap.
+WORDS = 4
 #: Edges of one centre that meet in one task.
 EDGES_A_SALT = 1000
 
@@ -154,19 +156,25 @@ def confirm(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 def _finish(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """Pairs of documents of different components among `members` (id, comp) that may be similar: they share one of their rarest shingles
-    at positions, and have sizes, that leave room for the overlap. No similar pair is missed."""
+    at positions, and have sizes and parity bitmaps, that leave room for the overlap. No similar pair is missed."""
     t = percent / 100
     rows = sets.join(members, "id").select("id", "comp", F.size("set").alias("n"), F.explode("set").alias("tok"))
     df = rows.groupBy("tok").agg(F.count(F.lit(1)).alias("df")).filter("df > 1")
-    near = rows.join(df, "tok", "left").groupBy("id", "comp", "n").agg(F.sort_array(F.collect_list(F.struct(F.coalesce("df", F.lit(0)).alias("df"), "tok"))).alias("toks"))
+    # parity bitmap: two sets differ in at least as many shingles as their bitmaps differ in bits
+    parity = [F.bit_xor(F.expr(f"IF(pmod(tok, {WORDS}) = {q}, shiftleft(1L, CAST(pmod(shiftright(tok, 8), 64) AS INT)), 0L)")).alias(f"x{q}") for q in range(WORDS)]
+    toks = F.sort_array(F.collect_list(F.struct(F.coalesce("df", F.lit(0)).alias("df"), "tok"))).alias("toks")
+    near = rows.join(df, "tok", "left").groupBy("id", "comp", "n").agg(toks, *parity)
     # shingles of one document only come first and have no partner, yet they fill the prefix
     room = F.col("n") - F.ceil(F.col("n") * t - 1e-9) + 1
-    prefix = near.select("id", "comp", "n", F.posexplode(F.slice("toks", F.lit(1), room.cast("int"))).alias("pos", "x")).filter("x.df > 0").select("id", "comp", "n", "pos", F.col("x.tok").alias("tok"))
+    bits = [f"x{q}" for q in range(WORDS)]
+    prefix = near.select("id", "comp", "n", *bits, F.posexplode(F.slice("toks", F.lit(1), room.cast("int"))).alias("pos", "x")).filter("x.df > 0").select("id", "comp", "n", *bits, "pos", F.col("x.tok").alias("tok"))
     need = lambda n, m: F.ceil((n + m) * (t / (1 + t)) - 1e-9)
     long_, short = prefix.alias("l"), prefix.filter(F.col("n") - F.col("pos") >= need(F.col("n"), F.col("n"))).alias("s")
     n, m = F.col("l.n"), F.col("s.n")
     bound = (m < n) | ((m == n) & (F.col("s.id") < F.col("l.id")))
     fits = (m >= n * t - 1e-9) & (n - F.col("l.pos") >= need(n, m)) & (m - F.col("s.pos") >= need(n, m))
+    apart = sum((F.bit_count(F.col(f"l.{x}").bitwiseXOR(F.col(f"s.{x}"))) for x in bits), F.lit(0))
+    fits = fits & (apart <= n + m - 2 * need(n, m))
     found = long_.join(short, (F.col("l.tok") == F.col("s.tok")) & (F.col("l.comp") != F.col("s.comp")) & bound & fits)
     return found.select(F.least("l.id", "s.id").alias("a"), F.greatest("l.id", "s.id").alias("b")).distinct()
 
