@@ -15,6 +15,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from semimul.llm.common import chunks
 
@@ -208,7 +209,7 @@ def all_spans(text: str, base: list[tuple[int, int, int]], model: Boosted) -> li
     return sorted(base + chosen)
 
 
-_SPAN = "array<struct<kind:string,start:int,end:int>>"
+_SPAN = T.ArrayType(T.StructType([T.StructField("kind", T.StringType()), T.StructField("start", T.IntegerType()), T.StructField("end", T.IntegerType())]))
 _TYPE = pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int32()), ("end", pa.int32())]))
 
 
