@@ -90,7 +90,53 @@ def op9_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {f.__name__: f for f in (op1_compression_quality, op2_near_dedup, op3_html_text, op4_quality_rules, op5_decontamination, op6_substring_dedup, op7_line_dedup, op8_toxicity, op9_byte_bpe, op10_pii)}
 
+
+def _rules_sql() -> str:
+    from semimul.llm import quality_rules as q
+
+    listed = ", ".join(f"('{lang}', {i}, '{w}')" for lang, ws in q.COMMON_WORDS.items() for i, w in enumerate(ws))
+    size = len(next(iter(q.COMMON_WORDS.values())))
+    return rf"""
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, lang, coalesce(text, '') AS t,
+                  list_filter(regexp_split_to_array(coalesce(text, ''), '[ \t\n\x0b\x0c\r]+'), lambda x: x <> '') AS w FROM documents),
+x AS (SELECT r, lang, unnest(w) AS word, generate_subscripts(w, 1) AS s FROM d),
+tri AS (SELECT r, s, word || ' ' || lead(word, 1) OVER q || ' ' || lead(word, 2) OVER q AS g FROM x WINDOW q AS (PARTITION BY r ORDER BY s)),
+again AS (SELECT r, s FROM (SELECT r, s, g, count(*) OVER (PARTITION BY r, g) AS c FROM tri WHERE g IS NOT NULL) WHERE c > 1),
+cover AS (SELECT r, count(DISTINCT s + o) AS n FROM again, range(3) z(o) GROUP BY r),
+base AS (
+  SELECT r, doc_id, lang, t, len(w) AS n_words, coalesce(list_sum(list_transform(w, lambda y: length(y))), 0)::BIGINT AS word_chars,
+         length(regexp_replace(t, '[^#*$%&|<>]', '', 'g')) AS n_symbols,
+         list_filter(string_split(t, chr(10)), lambda y: regexp_matches(y, '[^ \t\n\x0b\x0c\r]')) AS lines FROM d),
+c AS (
+  SELECT r, unnest([length(regexp_replace(t, '[^a-z]', '', 'g')), length(regexp_replace(t, '[^A-Z]', '', 'g')), length(regexp_replace(t, '[^0-9]', '', 'g')),
+                    length(t) - word_chars, length(regexp_replace(t, '[^-.,;:!?''"()]', '', 'g')),
+                    length(regexp_replace(t, '[^\x00-\x08\x0e-\x1f!-/:-@\[-`{{-\x7F]', '', 'g')) - length(regexp_replace(t, '[^-.,;:!?''"()]', '', 'g')),
+                    length(regexp_replace(t, '[\x00-\x7F]', '', 'g'))]) AS n, generate_subscripts([1, 2, 3, 4, 5, 6, 7], 1) AS b FROM base),
+l(lang, b, word) AS (VALUES {listed}),
+hits AS (SELECT x.r, l.b, count(*) AS n FROM x JOIN l ON x.lang = l.lang AND lower(x.word) = l.word GROUP BY ALL),
+k AS (SELECT base.r, g.b, coalesce(hits.n, 0) AS n FROM base CROSS JOIN range({size}) g(b) LEFT JOIN hits ON hits.r = base.r AND hits.b = g.b),
+h AS (
+  SELECT r, 'c' AS kind, b, n FROM c UNION ALL SELECT r, 'k', b, n FROM k
+  UNION ALL SELECT r, 'k', {size}, n_words - coalesce((SELECT sum(n) FROM hits WHERE hits.r = base.r), 0) FROM base),
+hl AS (SELECT h.*, CASE WHEN lang IN ({", ".join(f"'{x}'" for x in q.COMMON_WORDS)}) THEN lang END AS ref FROM h JOIN base USING (r)),
+ref AS (SELECT ref, kind, b, sum(n)::DOUBLE AS m FROM hl GROUP BY ALL),
+p AS (
+  SELECT hl.r, hl.kind, hl.n / greatest(sum(hl.n) OVER (PARTITION BY hl.r, hl.kind), 1) AS x, ref.m / greatest(sum(ref.m) OVER (PARTITION BY hl.r, hl.kind), 1) AS y,
+         sum(hl.n) OVER (PARTITION BY hl.r, hl.kind) AS tn FROM hl JOIN ref ON hl.ref IS NOT DISTINCT FROM ref.ref AND hl.kind = ref.kind AND hl.b = ref.b),
+js AS (
+  SELECT r, kind, CASE WHEN max(tn) > 0 THEN sqrt(greatest(sum(CASE WHEN x > 0 THEN x * log2(2 * x / (x + y)) ELSE 0 END + CASE WHEN y > 0 THEN y * log2(2 * y / (x + y)) ELSE 0 END) / 2, 0)) ELSE 0 END AS v
+  FROM p GROUP BY ALL),
+v AS (
+  SELECT base.*, len(lines) - len(list_distinct(lines)) AS n_dup_lines, coalesce(cover.n, 0) AS n_repeat_words,
+         (SELECT v FROM js WHERE js.r = base.r AND kind = 'c') AS cd, (SELECT v FROM js WHERE js.r = base.r AND kind = 'k') AS wd FROM base LEFT JOIN cover USING (r))
+SELECT doc_id, n_words::BIGINT AS n_words, word_chars, n_symbols::BIGINT AS n_symbols, n_dup_lines::BIGINT AS n_dup_lines, n_repeat_words::BIGINT AS n_repeat_words,
+       n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed,
+       NOT (n_words < 50 OR 100 * n_repeat_words > 50 * n_words) AND NOT (n_words >= {q.MIN_WORDS} AND (cd > {q.MAX_CLASS_DISTANCE} OR wd > {q.MAX_WORD_DISTANCE})) AS kept
+FROM v"""
+
+
 ORACLES = {
+    "op4_quality_rules": _rules_sql(),
     "op5_decontamination": r"""
 WITH tr AS (SELECT 'ABCDEFGHIJKLMNOPQRSTUVWXYZ' AS u, 'abcdefghijklmnopqrstuvwxyz' AS l),
 d AS (SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), u, l), '[\x00-\x2F\x3A-\x60\x7B-\x7F]+'), lambda x: x <> '') AS w FROM documents, tr),

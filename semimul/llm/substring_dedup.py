@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from semimul.llm.common import Scratch, WordHashes, chunks, mix64
+from semimul.llm.common import WordHashes, chunks, mix64
 
 #: Rounds of naming; a symbol stands for at most 2 ** ROUNDS words, and a border depends on fewer words than that to either side.
 ROUNDS = 3
@@ -131,13 +131,13 @@ def _joined(texts: list[bytes | None], hashes: WordHashes) -> tuple[np.ndarray,
     return np.concatenate(parts) if parts else np.zeros(0, _U), np.concatenate(([0], np.cumsum([len(p) for p in parts])))
 
 
-def _spread(first: np.ndarray, places: np.ndarray) -> pa.Array:
-    """0 for the first row of each key in a batch; the others are settled and go anywhere."""
-    return pa.array(np.where(first, _U(0), mix64(places.astype(_U)) >> _U(33) | _U(1)).astype(np.int32))
+def _packed(places: np.ndarray, first: np.ndarray, twice: np.ndarray) -> pa.Array:
+    """Word position, whether the batch holds the key again, and whether this is the key's first row in the batch, as one number."""
+    return pa.array(places.astype(np.int64) << 2 | twice.astype(np.int64) << 1 | first.astype(np.int64))
 
 
 def _anchor_rows(batches, size: int):
-    """(name, id, pos, twice, salt): anchors by name; `twice` where the batch itself holds the name again."""
+    """(name, id, code): anchors by name; see `_packed`."""
     hashes = WordHashes()
     for batch in batches:
         ids, texts = batch.column(0).to_numpy(zero_copy_only=False), batch.column(1).to_pylist()
@@ -151,11 +151,11 @@ def _anchor_rows(batches, size: int):
             name = Rolling(words).of(first - REACH, last + REACH)
             doc = np.searchsorted(bounds, first, side="right") - 1
             once, twice = _settle(name)
-            yield pa.RecordBatch.from_arrays([pa.array(name.view(np.int64)), pa.array(ids[start:end][doc]), pa.array((first - bounds[doc]).astype(np.int32)), pa.array(twice), _spread(once, first)], names=["name", "id", "pos", "twice", "salt"])
+            yield pa.RecordBatch.from_arrays([pa.array(name.view(np.int64)), pa.array(ids[start:end][doc]), _packed(first - bounds[doc], once, twice)], names=["name", "id", "code"])
 
 
 def _window_rows(batches, size: int):
-    """(h1, h2, id, pos, twice, salt): hashes of the windows at repeated anchors."""
+    """(h1, h2, id, code): hashes of the windows at repeated anchors; see `_packed`."""
     hashes = WordHashes()
     for batch in batches:
         ids, texts, held = batch.column(0).to_numpy(zero_copy_only=False), batch.column(1).to_pylist(), batch.column(2).to_pylist()
@@ -169,7 +169,7 @@ def _window_rows(batches, size: int):
             h1, h2 = Rolling(words).of(windows, windows + size), Rolling(words, _BASE2).of(windows, windows + size)
             doc = np.searchsorted(bounds, windows, side="right") - 1
             once, twice = _settle(h1, h2 >> _U(32))
-            yield pa.RecordBatch.from_arrays([pa.array(h1.view(np.int64)), pa.array((h2 >> _U(32)).astype(np.uint32).view(np.int32)), pa.array(ids[start:end][doc]), pa.array((windows - bounds[doc]).astype(np.int32)), pa.array(twice), _spread(once, windows)], names=["h1", "h2", "id", "pos", "twice", "salt"])
+            yield pa.RecordBatch.from_arrays([pa.array(h1.view(np.int64)), pa.array((h2 >> _U(32)).astype(np.uint32).view(np.int32)), pa.array(ids[start:end][doc]), _packed(windows - bounds[doc], once, twice)], names=["h1", "h2", "id", "code"])
 
 
 def _cut(batches, size: int):
@@ -195,8 +195,11 @@ def _cut(batches, size: int):
 
 
 def _repeated(rows: DataFrame, keys: list[str]) -> DataFrame:
-    """(id, pos) of the rows whose key occurs more than once. Where a batch has seen a key twice, that is known without a look at others."""
-    return rows.withColumn("n", F.count(F.lit(1)).over(Window.partitionBy(*keys, "salt"))).filter("n > 1 or twice").select("id", "pos")
+    """(id, pos) of the rows whose key occurs more than once. Rows whose key their batch has settled and already sent on are dealt at random,
+    since nothing has to be counted for them."""
+    salt = F.when(F.expr("code & 1 = 1"), F.lit(0).cast("long")).otherwise(F.xxhash64("id", "code"))
+    counted = rows.withColumn("n", F.count(F.lit(1)).over(Window.partitionBy(*keys, salt)))
+    return counted.filter("n > 1 or code & 2 = 2").select("id", F.expr("CAST(shiftright(code, 2) AS INT)").alias("pos"))
 
 
 def remove_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", size: int = 35) -> DataFrame:
@@ -209,14 +212,14 @@ def remove_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
     """
     if size < 2 * REACH + 2 * (1 << ROUNDS) - 1:
         raise ValueError(f"windows of at least {2 * REACH + 2 * (1 << ROUNDS) - 1} words are supported")
+    spark = docs.sparkSession
     source = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("binary").alias("text"))
-    scratch = Scratch(docs.sparkSession, "substring-dedup")
-    rows = source.filter("id is not null").mapInArrow(lambda b: _anchor_rows(b, size), "name long, id long, pos int, twice boolean, salt int")
-    places = _repeated(rows, ["name"]).groupBy("id").agg(F.collect_set("pos").alias("places"))
-    places = scratch.save(places, "anchors").withColumnRenamed("id", "at_id")
-    dealt = source.join(places.hint("shuffle_hash"), F.col("id") == F.col("at_id")).select("id", "text", "places")
-    windows = dealt.mapInArrow(lambda b: _window_rows(b, size), "h1 long, h2 int, id long, pos int, twice boolean, salt int")
-    starts = _repeated(windows, ["h1", "h2"]).groupBy("id").agg(F.collect_set("pos").alias("starts"))
-    starts = scratch.save(starts, "windows").withColumnRenamed("id", "at_id")
-    done = source.join(starts.hint("shuffle_hash"), F.col("id") == F.col("at_id"), "left").select("id", "text", "starts")
+    # dealt by id once: both joins read the same exchange. A key that is never null keeps the first join from filtering below it.
+    keyed = source.select(F.coalesce("id", F.lit(-(1 << 63))).alias("key"), "id", "text").repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), "key")
+    rows = source.filter("id is not null").mapInArrow(lambda b: _anchor_rows(b, size), "name long, id long, code long")
+    places = _repeated(rows, ["name"]).groupBy(F.col("id").alias("at_id")).agg(F.collect_set("pos").alias("places"))
+    dealt = keyed.join(places.hint("shuffle_hash"), F.col("key") == F.col("at_id")).select("id", "text", "places")
+    windows = dealt.mapInArrow(lambda b: _window_rows(b, size), "h1 long, h2 int, id long, code long")
+    starts = _repeated(windows, ["h1", "h2"]).groupBy(F.col("id").alias("at_id")).agg(F.collect_set("pos").alias("starts"))
+    done = keyed.join(starts.hint("shuffle_hash"), F.col("key") == F.col("at_id"), "left").select("id", "text", "starts")
     return done.mapInArrow(lambda b: _cut(b, size), "id long, n_words long, n_removed long, kept string")
