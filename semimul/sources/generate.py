@@ -32,7 +32,7 @@ def power_law_graph(spark: SparkSession, scale: int, seed: int, edges_per_vertex
     got = power_law_edges(spark, scale, seed, edges_per_vertex).distinct()
     if permute:
         n = 1 << scale
-        move = lambda c: (F.col(c) * (2654435761 + 2 * seed) + 40503) % n
+        move = lambda c: (F.col(c) * (40503 + 2 * seed) + 12289 * seed) % n  # noqa: E731  (the multiplier is odd)
         got = got.select(move("row").alias("row"), move("col").alias("col"))
     return got.withColumn("v", F.lit(1).cast("long"))
 
