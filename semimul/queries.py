@@ -527,3 +527,53 @@ def _running(spark, d):
 @query("stream_distinct", "SELECT count(DISTINCT event_id) AS n FROM events")
 def _distinct(spark, d):
     return inc.drain(inc.distinct_events(_events(spark, d)), "distinct").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("stream_sliding_windows", "SELECT start, user_id, count(*) AS n FROM (SELECT user_id, unnest([time_bucket(INTERVAL 30 MINUTES, ts), time_bucket(INTERVAL 30 MINUTES, ts) - INTERVAL 30 MINUTES]) AS start FROM events) GROUP BY ALL")
+def _sliding(spark, d):
+    got = inc.drain(inc.windowed_pairs(_events(spark, d), "1 hour", "30 minutes"), "sliding", "complete")
+    return got.select(F.col("start").cast("timestamp_ntz").alias("start"), "user_id", "n")
+
+
+@query("stream_sessions", "SELECT min(ts) AS start, user_id, count(*) AS n FROM (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTES THEN 0 ELSE 1 END AS new FROM events)) GROUP BY user_id, s")
+def _sessions(spark, d):
+    got = inc.drain(inc.sessions(_events(spark, d)), "sessions", "complete")
+    return got.select(F.col("start").cast("timestamp_ntz").alias("start"), "user_id", "n")
+
+
+@query("stream_user_pairs", "SELECT a.user_id AS i, b.user_id AS j, count(*) AS n FROM events a JOIN events b ON a.event_type = b.event_type AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 5 MINUTES AND a.user_id < b.user_id GROUP BY ALL")
+def _user_pairs(spark, d):
+    got = inc.drain(inc.user_pairs_within(_events(spark, d), _events(spark, d)), "pairs")
+    return got.groupBy("i", "j").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("stream_both_sides", "WITH e AS (SELECT user_id AS k, event_type AS i, count(*) AS v FROM events GROUP BY ALL) SELECT a.i, b.i AS j, sum(a.v * b.v)::BIGINT AS v FROM e a JOIN e b USING (k) GROUP BY ALL")
+def _both_sides(spark, d):
+    """Both operands arrive in two halves; (A + dA)(B + dB) is the first product and three more runs."""
+    e = _t(spark, d, "events").select(F.col("user_id").alias("k"), F.col("event_type").alias("i"), F.lit(1).cast("long").alias("v"), (F.col("event_id") % 2 == 0).alias("old"))
+    old, new = e.filter("old").drop("old"), e.filter("not old").drop("old")
+    as_b = lambda t: t.withColumnRenamed("i", "j")
+    log = _log(spark)
+    log.append(mul.outer_product(old, as_b(old), emit="partials"), "first")
+    inc.multiply_both(log, old, as_b(old), new, as_b(new), 1)
+    return log.scan()
+
+
+@query("even_cells_distinct_estimate", "SELECT true AS close")
+def _estimate(spark, d):
+    """The sketched size of a result lies within a tenth of the exact one."""
+    a, b = build.workload(spark, d, "W6")
+    both = cost.result_entries(a, b, exact=False).withColumnRenamed("n_c", "x").crossJoin(cost.result_entries(a, b))
+    return both.select((F.abs(F.col("x") - F.col("n_c")) <= F.col("n_c") * 0.1).alias("close"))
+
+
+@query("dense_vectors", "WITH a AS (SELECT generate_subscripts(embedding, 1) - 1 AS k, vec_id AS i, unnest(embedding)::DOUBLE AS x FROM embeddings WHERE vec_id < 40), r AS (SELECT k, i, round(x * 1000)::BIGINT AS v FROM a) SELECT a.i, b.i AS j, sum(a.v * b.v)::BIGINT AS v FROM (SELECT * FROM r WHERE v <> 0) a JOIN (SELECT * FROM r WHERE v <> 0) b USING (k) GROUP BY ALL")
+def _dense_vectors(spark, d):
+    at = build.from_vectors(_t(spark, d, "embeddings").filter("vec_id < 40"), "vec_id", "embedding")
+    return mul.outer_product(at, at.withColumnRenamed("i", "j"))
+
+
+@query("json_keys", "WITH a AS (SELECT json_extract_string(props, '$.k') AS k, user_id AS i, count(*) AS v FROM events GROUP BY ALL) SELECT a.i, b.i AS j, sum(a.v * b.v)::BIGINT AS v FROM a JOIN a b USING (k) GROUP BY ALL")
+def _json_keys(spark, d):
+    at = build.from_json(_t(spark, d, "events"), "user_id", "props", "$.k")
+    return mul.outer_product(at, at.withColumnRenamed("i", "j"))
