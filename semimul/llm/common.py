@@ -55,9 +55,11 @@ class Scratch:
         _ROOTS[self.root] = spark
 
     def save(self, df: DataFrame, name: str, few: bool = False) -> DataFrame:
-        """Writes a table and reads it again. `few`: in two files a core at most, for results of a shuffle that are small against it."""
+        """Writes a table and reads it again. `few`: in few files, for results of a shuffle that are small against it: two a core, or an
+        eighth of the shuffle's partitions where that is more, so that they grow in number with the data."""
         path = f"{self.root}/{name}"
-        (df.coalesce(2 * self.spark.sparkContext.defaultParallelism) if few else df).write.mode("overwrite").parquet(path)
+        most = max(2 * self.spark.sparkContext.defaultParallelism, int(self.spark.conf.get("spark.sql.shuffle.partitions")) // 8)
+        (df.coalesce(most) if few else df).write.mode("overwrite").parquet(path)
         return self.spark.read.schema(df.schema).parquet(path)
 
     def drop(self, name: str) -> None:
