@@ -131,9 +131,11 @@ def _joined(texts: list[bytes | None], hashes: WordHashes) -> tuple[np.ndarray,
     return np.concatenate(parts) if parts else np.zeros(0, _U), np.concatenate(([0], np.cumsum([len(p) for p in parts])))
 
 
-def _packed(places: np.ndarray, first: np.ndarray, twice: np.ndarray) -> pa.Array:
-    """Word position, whether the batch holds the key again, and whether this is the key's first row in the batch, as one number."""
-    return pa.array(places.astype(np.int64) << 2 | twice.astype(np.int64) << 1 | first.astype(np.int64))
+def _packed(places: np.ndarray, first: np.ndarray, twice: np.ndarray, more: np.ndarray | None = None) -> pa.Array:
+    """Word position, whether the batch holds the key again, and whether this is the key's first row in the batch, as one number; the upper
+    half of `more`, which belongs to the key, stands above them. A string of Spark's greatest length has fewer than 2 ** 30 words."""
+    code = places.astype(_U) << _U(2) | twice.astype(_U) << _U(1) | first.astype(_U)
+    return pa.array((code if more is None else code | more >> _U(32) << _U(32)).view(np.int64))
 
 
 def _anchor_rows(batches, size: int):
@@ -155,7 +157,7 @@ def _anchor_rows(batches, size: int):
 
 
 def _window_rows(batches, size: int):
-    """(h1, h2, id, code): hashes of the windows at repeated anchors; see `_packed`."""
+    """(hash, id, code): hashes of the windows at repeated anchors; see `_packed`."""
     hashes = WordHashes()
     for batch in batches:
         ids, texts, held = batch.column(0).to_numpy(zero_copy_only=False), batch.column(1).to_pylist(), batch.column(2).to_pylist()
@@ -169,7 +171,7 @@ def _window_rows(batches, size: int):
             h1, h2 = Rolling(words).of(windows, windows + size), Rolling(words, _BASE2).of(windows, windows + size)
             doc = np.searchsorted(bounds, windows, side="right") - 1
             once, twice = _settle(h1, h2 >> _U(32))
-            yield pa.RecordBatch.from_arrays([pa.array(h1.view(np.int64)), pa.array((h2 >> _U(32)).astype(np.uint32).view(np.int32)), pa.array(ids[start:end][doc]), _packed(windows - bounds[doc], once, twice)], names=["h1", "h2", "id", "code"])
+            yield pa.RecordBatch.from_arrays([pa.array(h1.view(np.int64)), pa.array(ids[start:end][doc]), _packed(windows - bounds[doc], once, twice, h2)], names=["hash", "id", "code"])
 
 
 def _cut(batches, size: int):
@@ -198,8 +200,8 @@ def _repeated(rows: DataFrame, keys: list[str]) -> DataFrame:
     """(id, pos) of the rows whose key occurs more than once. Rows whose key their batch has settled and already sent on are dealt at random,
     since nothing has to be counted for them."""
     salt = F.when(F.expr("code & 1 = 1"), F.lit(0).cast("long")).otherwise(F.xxhash64("id", "code"))
-    counted = rows.withColumn("n", F.count(F.lit(1)).over(Window.partitionBy(*keys, salt)))
-    return counted.filter("n > 1 or code & 2 = 2").select("id", F.expr("CAST(shiftright(code, 2) AS INT)").alias("pos"))
+    counted = rows.withColumn("n", F.count(F.lit(1)).over(Window.partitionBy(*keys, F.expr("shiftright(code, 32)"), salt)))
+    return counted.filter("n > 1 or code & 2 = 2").select("id", F.expr("CAST(shiftright(code & 4294967295L, 2) AS INT)").alias("pos"))
 
 
 def remove_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", size: int = 35) -> DataFrame:
@@ -219,7 +221,7 @@ def remove_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
     rows = source.filter("id is not null").mapInArrow(lambda b: _anchor_rows(b, size), "name long, id long, code long")
     places = _repeated(rows, ["name"]).groupBy(F.col("id").alias("at_id")).agg(F.collect_set("pos").alias("places"))
     dealt = keyed.join(places.hint("shuffle_hash"), F.col("key") == F.col("at_id")).select("id", "text", "places")
-    windows = dealt.mapInArrow(lambda b: _window_rows(b, size), "h1 long, h2 int, id long, code long")
-    starts = _repeated(windows, ["h1", "h2"]).groupBy(F.col("id").alias("at_id")).agg(F.collect_set("pos").alias("starts"))
+    windows = dealt.mapInArrow(lambda b: _window_rows(b, size), "hash long, id long, code long")
+    starts = _repeated(windows, ["hash"]).groupBy(F.col("id").alias("at_id")).agg(F.collect_set("pos").alias("starts"))
     done = keyed.join(starts.hint("shuffle_hash"), F.col("key") == F.col("at_id"), "left").select("id", "text", "starts")
     return done.mapInArrow(lambda b: _cut(b, size), "id long, n_words long, n_removed long, kept string")
