@@ -60,6 +60,7 @@ class Scratch:
         path = f"{self.root}/{name}"
         most = max(2 * self.spark.sparkContext.defaultParallelism, int(self.spark.conf.get("spark.sql.shuffle.partitions")) // 8)
         (df.coalesce(most) if few else df).write.mode("overwrite").parquet(path)
+        self.spark.sparkContext._jvm.System.gc()  # shuffle files of finished steps go when the driver collects its garbage
         return self.spark.read.schema(df.schema).parquet(path)
 
     def drop(self, name: str) -> None:
