@@ -89,6 +89,26 @@ def test_star_misses_are_finished(spark):
     assert got == {i: c for i, (_, c) in brute_near(texts, 4).items()}
 
 
+def test_components_of_a_long_chain_with_ids_in_any_order(spark):
+    """A path of 3,000 nodes whose ids follow no order, a second one, and a star: no label is left unfinished, and rounds stay few."""
+    from semimul.llm.common import Scratch
+
+    ids = np.random.default_rng(5).permutation(6000)
+    chains = [ids[:3000].tolist(), ids[3000:5000].tolist()]
+    star = [(int(ids[5000]), int(x)) for x in ids[5001:]]
+    edges = spark.createDataFrame([e for c in chains for e in zip(c, c[1:])] + star, "a long, b long")
+    saved = []
+
+    class Counted(Scratch):
+        def save(self, df, name, few=False):
+            saved.append(name)
+            return super().save(df, name, few)
+
+    got = {r.id: r.comp for r in near_dup.components(edges, Counted(spark, "chain"), "c").collect()}
+    assert got == {x: min(c) for c in [*chains, ids[5000:].tolist()] for x in c}
+    assert len(saved) < 40
+
+
 def test_line_dedup_equals_brute_force(spark, corpus):
     got = {r.doc_id: (r.n_lines, r.n_dropped, r.text) for r in line_dedup.drop_repeated_lines(frame(spark, corpus.items())).collect()}
     key = lambda x: "".join(c.lower() if c.isascii() else c for c in x.strip(" \t\n\x0b\x0c\r"))
