@@ -72,24 +72,36 @@ class PartialLog:
         if not self.s.lazy:
             raise ValueError(f"{self.s.name} needs all partials of a cell at once; only major_compact() and scan() may sum it")
 
+    def _summed(self, names: list[str], manifest: dict, prune_zero: bool = False) -> DataFrame:
+        """(i, j, v, orient) of the named runs, each orientation summed by itself."""
+        out = None
+        for orient in ("c", "ct"):
+            entries = self._read(names, orient, manifest)
+            if entries is None:
+                raise ValueError("no run to compact")
+            done = fold(entries, self.s)
+            if prune_zero and self.s.zero is not None:
+                done = done.filter(F.col("v") != F.lit(self.s.zero))
+            done = done.withColumn("orient", F.lit(orient))
+            out = done if out is None else out.unionByName(done)
+        return out
+
     def minor_compact(self, runs: list[str]) -> str:
         """Some runs become one; the sum may be done in parts."""
         self._lazy()
         manifest = self.manifest()
         name = f"minor-{manifest['generation']}"
-        entries = self._read([f"runs/{r}" for r in runs], "c", manifest)
-        fold(entries, self.s).withColumn("orient", F.lit("c")).write.mode("overwrite").partitionBy("orient").parquet(f"{self.path}/runs/{name}")
+        self._summed([f"runs/{r}" for r in runs], manifest).write.mode("overwrite").partitionBy("orient").parquet(f"{self.path}/runs/{name}")
         self._commit(manifest | {"runs": [r for r in manifest["runs"] if r not in runs] + [name]})
         return name
 
     def major_compact(self, prune_zero: bool = False) -> None:
         """Base and runs become a new base, sorted by cell over ranges."""
         manifest = self.manifest()
-        done = fold(self.live(manifest=manifest), self.s)
-        if prune_zero and self.s.zero is not None:
-            done = done.filter(F.col("v") != F.lit(self.s.zero))
+        names = ([manifest["base"]] if manifest["base"] else []) + [f"runs/{r}" for r in manifest["runs"]]
+        done = self._summed(names, manifest, prune_zero)
         name = f"base/{manifest['generation']}"
-        done.repartitionByRange("i").sortWithinPartitions("i", "j").withColumn("orient", F.lit("c")).write.mode("overwrite").partitionBy("orient").parquet(f"{self.path}/{name}")
+        done.repartitionByRange("orient", "i").sortWithinPartitions("orient", "i", "j").write.mode("overwrite").partitionBy("orient").parquet(f"{self.path}/{name}")
         self._commit(manifest | {"base": name, "runs": []})
 
     def vacuum(self, run_ids: list[str]) -> None:
