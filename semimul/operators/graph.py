@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from itertools import count
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -27,18 +29,23 @@ def bfs(start: DataFrame, edges: DataFrame, max_depth: int = 10) -> DataFrame:
     return seen
 
 
-def even_reach(start: DataFrame, edges: DataFrame, max_iter: int = 10) -> DataFrame:
-    """(node) within an even number of steps of `start`, to a fixpoint or `max_iter` double steps."""
+def _within(i: int, max_iter: int | None) -> None:
+    if max_iter is not None and i > max_iter:
+        raise RuntimeError(f"no fixpoint after {max_iter} rounds")
+
+
+def even_reach(start: DataFrame, edges: DataFrame, max_iter: int | None = None) -> DataFrame:
+    """(node) within an even number of steps of `start`, to a fixpoint; an error where `max_iter` double steps do not reach it."""
     seen = written(start.select("node").distinct(), "even")
     front = seen
     one = edges.select(F.col("row").alias("node"), F.col("col").alias("next")).distinct()
     step = lambda f: f.join(one, "node").select(F.col("next").alias("node")).distinct()
-    for _ in range(max_iter):
+    for i in count(1):
+        _within(i, max_iter)
         front = written(step(step(front)).join(seen, "node", "left_anti"), "even")
         if front.isEmpty():
-            break
+            return seen
         seen = seen.unionByName(front)
-    return seen
 
 
 def two_step_union(a: DataFrame, b: DataFrame, s: Semiring = PLUS_TIMES, plan: str = "staged") -> DataFrame:
@@ -58,18 +65,22 @@ def two_step_union(a: DataFrame, b: DataFrame, s: Semiring = PLUS_TIMES, plan: s
     return plain(log.scan())
 
 
-def sssp(start: DataFrame, edges: DataFrame, max_iter: int = 50) -> DataFrame:
-    """(node, dist): least distances from `start` (node) by relaxation over the min-plus semiring, until nothing changes."""
+def sssp(start: DataFrame, edges: DataFrame, max_iter: int | None = None) -> DataFrame:
+    """(node, dist): least distances from `start` (node) by relaxation over the min-plus semiring, until nothing changes; an error where
+    `max_iter` rounds do not get there, or where a cycle of negative weight keeps distances falling."""
     best = written(start.select("node").distinct().withColumn("dist", F.lit(0).cast("long")), "sssp")
     steps = edges.select(F.col("row").alias("node"), F.col("col").alias("next"), "v")
-    for _ in range(max_iter):
+    for i in count(1):
+        _within(i, max_iter)
         more = best.join(steps, "node").select(F.col("next").alias("node"), MIN_PLUS.mul(F.col("dist"), F.col("v")).alias("dist"))
         new = best.withColumn("old", F.col("dist")).unionByName(more.withColumn("old", F.lit(None).cast("long"))).groupBy("node").agg(F.min("dist").alias("dist"), F.min("old").alias("old"))
         new = written(new, "sssp")
         best = new.select("node", "dist")
         if new.filter("old is null or dist < old").isEmpty():
-            break
-    return best
+            return best
+        # a least path has fewer edges than there are nodes
+        if i >= best.count():
+            raise ValueError("a cycle of negative weight")
 
 
 def rank(edges: DataFrame, damping: float = 0.85, iterations: int = 10) -> DataFrame:

@@ -359,6 +359,9 @@ query("even_reach", f"WITH RECURSIVE e AS ({_E6}), r AS (SELECT 1::BIGINT AS nod
 query("bool_reach2", f"WITH e AS ({_E6}) SELECT DISTINCT y.col AS node FROM e x JOIN e y ON y.row = x.col WHERE x.row = 1")(lambda spark, d: graph.reach2(_start(spark), _g(spark, 6, 1)))
 query("shortest_paths", f"WITH RECURSIVE e AS (SELECT row, col, (row * 7 + col * 3) % 9 + 1 AS w FROM ({_E6})), r AS (SELECT 1::BIGINT AS node, 0::BIGINT AS dist UNION SELECT e.col, r.dist + e.w FROM r JOIN e ON e.row = r.node WHERE r.dist + e.w < 24) SELECT node, min(dist)::BIGINT AS dist FROM r GROUP BY node")(
     lambda spark, d: graph.sssp(_start(spark), _g(spark, 6, 1).withColumn("v", (F.col("row") * 7 + F.col("col") * 3) % 9 + 1)).filter("dist < 24"))
+# all distances: a least path has fewer edges than there are nodes, each of weight 9 at most
+query("shortest_paths_all", f"WITH RECURSIVE e AS (SELECT row, col, (row * 7 + col * 3) % 9 + 1 AS w FROM ({_E6})), m AS (SELECT 9 * count(*) AS most FROM (SELECT row FROM e UNION SELECT col FROM e)), r AS (SELECT 1::BIGINT AS node, 0::BIGINT AS dist UNION SELECT e.col, r.dist + e.w FROM r JOIN e ON e.row = r.node, m WHERE r.dist + e.w <= most) SELECT node, min(dist)::BIGINT AS dist FROM r GROUP BY node")(
+    lambda spark, d: graph.sssp(_start(spark), _g(spark, 6, 1).withColumn("v", (F.col("row") * 7 + F.col("col") * 3) % 9 + 1)))
 query("triangles", f"WITH e AS (SELECT DISTINCT greatest(row, col) AS a, least(row, col) AS b FROM ({_E6}) WHERE row <> col) SELECT count(*) AS n FROM e x JOIN e y ON x.b = y.a JOIN e z ON z.a = x.a AND z.b = y.b")(
     lambda spark, d: kernels.triangles(kernels.ewise_add(_g(spark, 6, 1), kernels.transpose(_g(spark, 6, 1)), sr.COUNT).filter("row <> col")))
 query("power_3", f"WITH e AS ({_E6}), s AS (SELECT x.row, y.col, count(*) AS v FROM e x JOIN e y ON x.col = y.row GROUP BY ALL) SELECT s.row, e.col, sum(s.v)::BIGINT AS v FROM s JOIN e ON s.col = e.row GROUP BY ALL")(lambda spark, d: kernels.power(_g(spark, 6, 1), 3))
