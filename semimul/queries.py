@@ -432,8 +432,20 @@ query("kron", f"WITH a AS (SELECT * FROM {_S} WHERE row <= 5), b AS (SELECT * FR
     lambda spark, d: kernels.kron(_s(spark, d).filter("row <= 5"), _s(spark, d, True).filter("row <= 5")))
 query("identity_product", f"SELECT * FROM {_S}")(lambda spark, d: kernels.product(_s(spark, d), kernels.identity(_s(spark, d).select("col").distinct())))
 query("degrees", f"SELECT row, count(*) AS degree FROM {_S} GROUP BY row")(lambda spark, d: kernels.degrees(_s(spark, d)))
-query("masked", psql("W6", where="i = j"))(lambda spark, d: mul.multiply(*build.workload(spark, d, "W6"), mask=spark.range(0, 200_000).select(F.col("id").alias("i"), F.col("id").alias("j"))))
-query("masked_complement", psql("W6", where="i <> j"))(lambda spark, d: mul.multiply(*build.workload(spark, d, "W6"), mask=spark.range(0, 200_000).select(F.col("id").alias("i"), F.col("id").alias("j")), complement=True))
+
+
+def _diagonal(a: DataFrame, b: DataFrame) -> DataFrame:
+    """The cells i = j that a product of these operands can have."""
+    return a.select("i").distinct().join(b.select("j").distinct(), F.col("i") == F.col("j"))
+
+
+def _masked(spark, d, **o):
+    a, b = build.workload(spark, d, "W6")
+    return mul.multiply(a, b, mask=_diagonal(a, b), **o)
+
+
+query("masked", psql("W6", where="i = j"))(lambda spark, d: _masked(spark, d))
+query("masked_complement", psql("W6", where="i <> j"))(lambda spark, d: _masked(spark, d, complement=True))
 query("top_k_cells", f"SELECT row, col, v, rank FROM (SELECT *, row_number() OVER (PARTITION BY row ORDER BY v DESC, col)::INT AS rank FROM {_S}) WHERE rank <= 3")(lambda spark, d: kernels.top_k(_s(spark, d), 3))
 
 
