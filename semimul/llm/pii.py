@@ -8,6 +8,7 @@ table, selects.
 
 from __future__ import annotations
 
+import ipaddress
 import re
 from functools import lru_cache
 
@@ -32,6 +33,9 @@ _PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 _SPELLED = re.compile(r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9][A-Za-z0-9._%+-]{0,63}\s?(?:\(at\)|\[at\]|\{at\}|<at>|\sat\s)\s?[A-Za-z0-9-]{1,63}(?:(?:\s?(?:\(dot\)|\[dot\]|\{dot\})\s?|\sdot\s|\.)[A-Za-z0-9-]{1,63}){1,4}", re.I)
 _NUMBER = re.compile(r"(?<![0-9A-Za-z+.#_/-])(?:\(?0[0-9]{1,4}\)?|00[0-9]{1,3}|\([0-9]{2,4}\)|[0-9]{3})(?:[\x20./-]?\(?[0-9]{2,5}\)?){1,5}(?![0-9A-Za-z])")
 _IP6 = re.compile(r"(?<![0-9A-Fa-f:.])(?:[0-9A-Fa-f]{1,4}:){4,7}(?::?[0-9A-Fa-f]{1,4})(?![0-9A-Fa-f:])")
+_IP6_SHORT = re.compile(r"(?<![0-9A-Za-z:.])(?:[0-9A-Fa-f]{1,4}(?::[0-9A-Fa-f]{1,4}){0,6})?::(?:[0-9A-Fa-f]{1,4}(?::[0-9A-Fa-f]{1,4}){0,6})?(?![0-9A-Za-z:])")
+_DEFANGED = re.compile(r"(?<![0-9.])[0-9]{1,3}(?:(?:\.|\s?(?:\[\.\]|\(\.\)|\{\.\}|\[dot\]|\(dot\)|\{dot\})\s?|\sdot\s)[0-9]{1,3}){3}(?![0-9])", re.I)
+_WIDE_CARD = re.compile(r"(?<![0-9A-Za-z])[0-9](?:[\s./-]{0,2}[0-9]){12,18}(?![0-9A-Za-z])")
 _DIGIT = re.compile(r"[0-9]")
 
 # Words that stand before or after data of a kind.
@@ -81,6 +85,13 @@ def base_spans(text: str) -> list[tuple[int, int, int]]:
     return sorted(found)
 
 
+def _address(got: str) -> bool:
+    try:
+        return got != "::" and bool(ipaddress.IPv6Address(got))
+    except ValueError:
+        return False
+
+
 def proposals(text: str) -> list[tuple[int, int, int]]:
     """Overlapping spans of a kind each that might be personal data beside the base spans."""
     found = []
@@ -90,6 +101,10 @@ def proposals(text: str) -> list[tuple[int, int, int]]:
         found += [(m.start(), 3, m.end()) for m in _NUMBER.finditer(text) if 9 <= sum("0" <= c <= "9" for c in m[0]) <= 15]
         if ":" in text:
             found += [(m.start(), 1, m.end()) for m in _IP6.finditer(text)]
+        if "::" in text:
+            found += [(m.start(), 1, m.end()) for m in _IP6_SHORT.finditer(text) if _address(m[0])]
+        found += [(m.start(), 1, m.end()) for m in _DEFANGED.finditer(text) if re.search(r"[^0-9.]", m[0]) and all(int(x) <= 255 for x in re.findall(r"[0-9]+", m[0]))]
+        found += [(m.start(), 2, m.end()) for m in _WIDE_CARD.finditer(text)]
     return found
 
 
@@ -107,6 +122,7 @@ def features(text: str, span: tuple[int, int, int]) -> list[float]:
         float(kind), float(len(got)), float(digits), digits / max(1, len(got)), float(marked), float(tail in _TLDS), float(len(groups)), float(max(map(len, groups), default=0)),
         float(bool(hints & set(before[-3:]))), float(bool(hints & set(after[:2]))), float(bool(_AGAINST & set(before[-2:]))), float(got[:1] == "0" or got[:2] == "(0"), float(got.count(" ")), float(got.count(".")), float(got.count("-")),
         float(text[max(0, start - 2) : start].rstrip().endswith((":", "="))), float(luhn("".join(groups))), float(len(got.split("at", 1)[0].split()) if kind == 0 else 0),
+        float(got.count(":")), float(len(got.split(":", 1)[0]) if ":" in got else 0),
     ]
 
 
@@ -130,6 +146,30 @@ def training_rows(seed: int = 7, rounds: int = 400) -> list[tuple[str, tuple[int
             (pick(["ip ", "host ", "from address ", "client "]), ":".join("%x" % rng.integers(0x1000, 0xFFFF) for _ in range(8)), pick([" at", ".", ""]), 1, 1),
             (pick(filler) + " ", ":".join(num(2) for _ in range(6)), pick([" of", ".", ""]), 1, 0),
         ]
+    # rows of the wider card and address forms have numbers of their own, so that those above stay as they are
+    rng = np.random.default_rng(seed + 1)
+    hexa = lambda low: "%x" % rng.integers(low, 0xFFFF)
+
+    def card(valid: bool) -> str:
+        sizes, sep = pick([(4, 4, 4, 4), (4, 6, 5), (4, 4, 4, 4, 3), (13,)]), pick([".", "/", "\n", "\u00a0", "\t", "  ", " - ", ". ", "--"]).replace(" - ", " -")
+        body = pick("3456") + num(sum(sizes) - 2)
+        last = next(c for c in "0123456789" if luhn(body + c))
+        d, at = body + (last if valid else str((int(last) + 1 + int(rng.integers(9))) % 10)), np.cumsum((0, *sizes))
+        return sep.join(d[x:y] for x, y in zip(at, at[1:]))
+
+    octets = lambda top: [str(rng.integers(0, top)) for _ in range(4)]
+    hint_ip, hint_card = ["ip ", "host ", "from address ", "server: ", "client "], ["card ", "visa: ", "credit card no ", "amex ", "karte "]
+    for _ in range(rounds):
+        made += [
+            (pick([*hint_card, pick(filler) + " "]), card(True), pick([" expires", ".", "", " today"]), 2, 1),
+            (pick([*hint_card, pick(filler) + " ", "isbn ", "order "]), card(False), pick([" was", ".", "", " today"]), 2, 0),
+            (pick(["order ", "isbn ", "invoice ", "serial ", "ticket ", "sku "]), card(True), pick([" was", ".", "", " today"]), 2, 0),
+            (pick([*hint_ip, pick(filler) + " "]), pick(["fe80", "2001:db8", "2a02", "fd" + num(2)]) + pick(["", ":" + hexa(0x1000)]) + "::" + pick([hexa(1), hexa(1) + ":" + hexa(1), num(1)]), pick([" at", ".", ""]), 1, 1),
+            (pick(hint_ip), "::1", pick([" at", ".", ""]), 1, 1),
+            (pick(filler) + " ", pick(["a::b", "ab::cd", "12::30", "::a", "b::", f"{num(2)}::{num(2)}", f"{num(1)}::{num(1)}"]), pick([" of", ".", ""]), 1, 0),
+            (pick([*hint_ip, pick(filler) + " "]), pick(["[.]", "(.)", "{.}", "[dot]", "(dot)", " [.] ", " dot "]).join(octets(256)), pick([" at", ".", ""]), 1, 1),
+            (pick(["section ", "version ", "chapter ", "figure "]), pick(["(.)", "[.]", " dot "]).join(octets(12)), pick([" of", ".", ""]), 1, 0),
+        ]
     return [(b + g + a, (len(b), k, len(b) + len(g)), y) for b, g, a, k, y in made]
 
 

@@ -256,6 +256,22 @@ def test_pii_base_spans_equal_the_patterns():
     pii.base_spans("a" * 300_000 + " " + "1" * 300_000 + "@" * 1000)
 
 
+@pytest.mark.parametrize("before, got, kind", [
+    ("card ", "4539.5787.6362.1486", "card"), ("visa: ", "4539/5787/6362/1486", "card"), ("card ", "4539\n5787\n6362\n1486", "card"),
+    ("card ", "4539\u00a05787\u00a06362\u00a01486", "card"), ("card ", "4539  5787  6362  1486", "card"),
+    ("host ", "fe80::1", "ip"), ("ip ", "2001:db8::1", "ip"), ("from address ", "10[.]0[.]0[.]1", "ip"),
+])
+def test_pii_proposes_wider_cards_and_addresses(before, got, kind):
+    model, text = pii.default_model(), before + got + " today"
+    assert pii.base_spans(text) == []
+    assert pii.all_spans(text, [], model) == [(len(before), pii.KINDS.index(kind), len(before) + len(got))]
+
+
+@pytest.mark.parametrize("text", ["order 4539.5787.6362.1487 was", "in the 1990/1991/1992/1994 years", "call a::b of the code", "std::vector and it was 12::30 of", "section 1(.)2(.)3(.)4 of"])
+def test_pii_leaves_what_only_looks_like_it(text):
+    assert pii.all_spans(text, pii.base_spans(text), pii.default_model()) == []
+
+
 def test_pii_adds_spans_and_leaves_prose(spark):
     model = pii.default_model()
     added = lambda t: [(pii.KINDS[k], t[s:e]) for s, k, e in pii.all_spans(t, pii.base_spans(t), model)]
