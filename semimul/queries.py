@@ -57,6 +57,7 @@ _SQL = {
     "W14": (_m(_TERMS.format(id="doc_id", t="documents"), "term", "d", "i"), _m(_TERMS.format(id="item_id", t="benchmark"), "term", "d", "j")),
     "W15": (_m("conversations", "conv_id", "role", "i"), _m("conversations", "conv_id", "turn", "j")),
 }
+_SQL["W10"] = tuple(_m(_TERMS.format(id="doc_id", t="documents"), "term", "d", n) for n in "ij")
 _SQL["W10c"] = tuple(f"SELECT k, {n}, v FROM (SELECT *, count(*) OVER (PARTITION BY k) AS df FROM ({_m(_TERMS.format(id='doc_id', t='documents'), 'term', 'd', n)})) WHERE df <= 20" for n in "ij")
 
 
@@ -88,6 +89,7 @@ _product("outer_parts_by_customer", "W4", lambda a, b: mul.outer_product(a, b))
 _product("outer_customer_graph", "W5", lambda a, b: mul.outer_product(a, b))
 _product("outer_by_minute", "W9", lambda a, b: mul.outer_product(a, b))
 _product("outer_rare_terms", "W10c", lambda a, b: mul.outer_product(a, b))
+_product("outer_terms", "W10", lambda a, b: mul.outer_product(a, b, expand="tiled"))
 _product("outer_links", "W13", lambda a, b: mul.outer_product(a, b))
 _product("outer_items", "W14", lambda a, b: mul.outer_product(a, b))
 _product("outer_turns", "W15", lambda a, b: mul.outer_product(a, b))
@@ -456,6 +458,15 @@ def _labels(spark, d):
     return kernels.product(v, c)
 
 
+@query("label_vector_terms", f"WITH c AS ({psql('W10')}), l AS (SELECT DISTINCT doc_id, quality::BIGINT AS q FROM labels WHERE quality IS NOT NULL AND quality <> 0) SELECT 0::BIGINT AS row, c.j AS col, sum(l.q * c.v)::BIGINT AS v FROM l JOIN c ON l.doc_id = c.i GROUP BY ALL")
+def _label_terms(spark, d):
+    """Labels times the whole matrix of documents (W16): v (A^T B) is taken as (v A^T) B, so that the square matrix is never made."""
+    at, b = build.workload(spark, d, "W10")
+    v = build.table(spark, d, "labels").filter("quality <> 0").select(F.lit(0).cast("long").alias("row"), F.col("doc_id").alias("col"), F.col("quality").cast("long").alias("v")).distinct()
+    terms = kernels.product(v, at.select(F.col("i").alias("row"), F.col("k").alias("col"), "v"))
+    return kernels.product(terms, b.select(F.col("k").alias("row"), F.col("j").alias("col"), "v"))
+
+
 # ---------------------------------------------------------------- relational operators around the product
 def _t(spark, d, n):
     return build.table(spark, d, n)
