@@ -322,7 +322,11 @@ query("cost_profile", f"{ab('W1')}, s AS (SELECT (SELECT count(*) FROM a) AS na,
 
 @query("dense_worst_case", "WITH a AS (SELECT generate_subscripts(embedding, 1) AS k, vec_id AS i FROM embeddings WHERE vec_id < 100) SELECT count(*) AS pp, count(DISTINCT (a.i, b.i)) AS n_c, count(*) * 1000 // count(DISTINCT (a.i, b.i)) AS ratio_milli FROM a JOIN a b USING (k)")
 def _dense(spark, d):
-    return cost.write_amplification(*build.workload(spark, d, "W11"))
+    return cost.write_amplification(*build.workload(spark, d, "W11c"))
+
+
+query("dense_worst_case_all", "WITH a AS (SELECT generate_subscripts(embedding, 1) AS k, vec_id AS i FROM embeddings) SELECT count(*) AS pp, count(DISTINCT (a.i, b.i)) AS n_c, count(*) * 1000 // count(DISTINCT (a.i, b.i)) AS ratio_milli FROM a JOIN a b USING (k)")(
+    lambda spark, d: cost.write_amplification(*build.workload(spark, d, "W11")))
 
 
 @query("band_bounds_table", "SELECT n, p, b, ((b - 1) * n // p + 1)::BIGINT AS low, (b * n // p)::BIGINT AS high FROM (SELECT (SELECT count(*) FROM part) AS n), (VALUES (1), (2), (3), (7)) t(p), LATERAL (SELECT unnest(range(1, p + 1)) AS b)")
@@ -432,6 +436,8 @@ query("scale", f"SELECT s.row, s.col, s.v * p.p_size AS v FROM {_S} s JOIN part
     lambda spark, d: kernels.scale(_s(spark, d), build.table(spark, d, "part").select(F.col("p_partkey").alias("key"), F.col("p_size").cast("long").alias("x"))))
 query("kron", f"WITH a AS (SELECT * FROM {_S} WHERE row <= 5), b AS (SELECT * FROM {_R} WHERE row <= 5) SELECT a.row, b.row AS row2, a.col, b.col AS col2, a.v * b.v AS v FROM a, b")(
     lambda spark, d: kernels.kron(_s(spark, d).filter("row <= 5"), _s(spark, d, True).filter("row <= 5")))
+query("kron_tables", "SELECT n.n_nationkey AS row, r.r_regionkey AS row2, n.n_regionkey AS col, length(r.r_name)::BIGINT AS col2, (n.n_nationkey + 1) * (r.r_regionkey + 2) AS v FROM nation n, region r")(
+    lambda spark, d: kernels.kron(build.table(spark, d, "nation").select(F.col("n_nationkey").alias("row"), F.col("n_regionkey").alias("col"), (F.col("n_nationkey") + 1).alias("v")), build.table(spark, d, "region").select(F.col("r_regionkey").alias("row"), F.length("r_name").cast("long").alias("col"), (F.col("r_regionkey") + 2).alias("v"))))
 query("identity_product", f"SELECT * FROM {_S}")(lambda spark, d: kernels.product(_s(spark, d), kernels.identity(_s(spark, d).select("col").distinct())))
 query("degrees", f"SELECT row, count(*) AS degree FROM {_S} GROUP BY row")(lambda spark, d: kernels.degrees(_s(spark, d)))
 
@@ -599,6 +605,12 @@ def _dense_vectors(spark, d):
     return mul.outer_product(at, at.withColumnRenamed("i", "j"))
 
 
+@query("dense_vectors_all", "WITH a AS (SELECT generate_subscripts(embedding, 1) - 1 AS k, vec_id AS i, unnest(embedding)::DOUBLE AS x FROM embeddings), r AS (SELECT k, i, round(x * 1000)::BIGINT AS v FROM a) SELECT a.i, b.i AS j, sum(a.v * b.v)::BIGINT AS v FROM (SELECT * FROM r WHERE v <> 0) a JOIN (SELECT * FROM r WHERE v <> 0) b USING (k) GROUP BY ALL")
+def _dense_vectors_all(spark, d):
+    at = build.from_vectors(_t(spark, d, "embeddings"), "vec_id", "embedding")
+    return mul.outer_product(at, at.withColumnRenamed("i", "j"), expand="tiled")
+
+
 @query("json_keys", "WITH a AS (SELECT json_extract_string(props, '$.k') AS k, user_id AS i, count(*) AS v FROM events GROUP BY ALL) SELECT a.i, b.i AS j, sum(a.v * b.v)::BIGINT AS v FROM a JOIN a b USING (k) GROUP BY ALL")
 def _json_keys(spark, d):
     at = build.from_json(_t(spark, d, "events"), "user_id", "props", "$.k")

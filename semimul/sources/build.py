@@ -71,8 +71,9 @@ def workload(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, Da
         if name == "W10c":
             at = at.join(at.groupBy("k").agg(F.count(F.lit(1)).alias("df")).filter("df <= 20"), "k", "left_semi")
         return at, at.withColumnRenamed("i", "j")
-    if name == "W11":
-        at = from_vectors(t("embeddings").filter("vec_id < 100"), "vec_id", "embedding", keep_zero=True).withColumn("v", F.lit(1).cast("long"))
+    if name in ("W11", "W11c"):
+        vectors = t("embeddings").filter("vec_id < 100") if name == "W11c" else t("embeddings")
+        at = from_vectors(vectors, "vec_id", "embedding", keep_zero=True).withColumn("v", F.lit(1).cast("long"))
         return at, at.withColumnRenamed("i", "j")
     if name == "W12":
         return from_columns(t("customer"), F.col("c_nationkey"), F.col("c_custkey")), from_columns(t("nation"), F.col("n_nationkey"), F.col("n_regionkey"), name="j")
