@@ -2,7 +2,8 @@
 
 A page is cut in blocks at block-level tags. A block knows its word count and link density, those of its neighbours, and whether an
 enclosing element says what it is (an article; a menu, footer, advert, comment ...). A decision tree trained on the small labelled table
-`TRAINING_PAGES` decides which blocks are kept.
+`TRAINING_PAGES` decides which blocks are kept. Pages that name their parts are settled by the names; elsewhere the neighbours decide. The
+first and the last block, which lack a neighbour, take themselves for it, so that no page's edge looks like a menu's.
 """
 
 from __future__ import annotations
@@ -17,6 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from semimul.llm.common import chunks
+from semimul.llm.html_pages import TRAINING_PAGES
 
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[(?:.*?)(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*(?:\"|\Z)|'[^']*(?:'|\Z))*)(?:>|\Z)", re.S)
 _NAMED = re.compile(r"""\b(?:class|id|role|aria-label|itemprop)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+))""", re.I)
@@ -29,6 +31,9 @@ _INLINE = {"a", "abbr", "acronym", "b", "bdi", "bdo", "big", "cite", "code", "da
 _VOID = {"area", "base", "br", "col", "embed", "hr", "img", "input", "link", "meta", "param", "source", "track", "wbr"}
 _OUTSIDE = {"nav", "footer", "aside", "form", "menu", "dialog", "fieldset"}
 _BODY = {"article", "main"}
+# Names that make even an article element no main text, and words that deny the name after them.
+_OUTSIDE_ARTICLE = {"comment", "comments", "reply", "replies", "ad", "ads", "advert", "adverts", "advertisement", "sponsored", "promo", "promotion", "related", "recommended"}
+_DENIALS = {"has", "with", "no", "without", "not"}
 # Words in class, id and role names.
 _OUTSIDE_WORDS = {"nav", "navbar", "navigation", "menu", "menubar", "breadcrumb", "breadcrumbs", "footer", "foot", "header", "masthead", "banner", "sidebar", "side", "aside", "complementary", "contentinfo", "widget", "ad", "ads", "advert", "adverts", "advertisement", "adsense", "sponsor", "sponsored", "promo", "promotion", "cookie", "cookies", "consent", "gdpr", "notice", "notification", "alert", "popup", "modal", "overlay", "newsletter", "subscribe", "subscription", "signup", "login", "share", "sharing", "social", "related", "recommended", "recommendations", "popular", "trending", "comment", "comments", "disqus", "reply", "replies", "respond", "search", "toolbar", "pagination", "pager", "copyright", "disclaimer", "legal", "tags", "tagcloud", "skip"}
 _BODY_WORDS = {"article", "articlebody", "content", "main", "post", "entry", "story", "body", "text"}
@@ -43,8 +48,10 @@ def _marks(tag: str, attributes: str) -> tuple[int, int]:
     if attributes:
         names = set()
         for m in _NAMED.finditer(attributes):
-            names.update(_PARTS.findall((m[1] or m[2] or m[3] or "").lower()))
-        outside |= int(bool(names & _OUTSIDE_WORDS)) & (1 - body)
+            for name in (m[1] or m[2] or m[3] or "").lower().split():
+                parts = _PARTS.findall(name)
+                names.update(p for k, p in enumerate(parts) if not (k and parts[k - 1] in _DENIALS))
+        outside |= int(bool(names & (_OUTSIDE_ARTICLE if tag == "article" else _OUTSIDE_WORDS))) & int(tag != "main")
         outside |= 2 * int(_HIDDEN.search(attributes) is not None)
         body |= int(bool(names & _BODY_WORDS))
     return outside, body
@@ -147,26 +154,16 @@ def features(found: list[tuple[str, np.ndarray]]) -> np.ndarray:
     x = np.array([f for _, f in found]) if found else np.zeros((0, len(FEATURES)))
     if len(x):
         x[1:, 2:4], x[:-1, 4:6] = x[:-1, :2], x[1:, :2]
+        x[0, 2:4], x[-1, 4:6] = x[0, :2], x[-1, :2]
     return x
 
 
-#: The small labelled table: pages whose blocks begin with "+" (main text) or "-" (anything else).
-TRAINING_PAGES = (
-    "<html><head><title>t</title></head><body><header><h1>-Daily site</h1></header><nav><ul><li><a href=/>-Home</a></li><li><a>-World news</a></li><li><a>-Sport</a></li></ul></nav><div class=ad>-Buy one now and get a second one for free today.</div><article><h1>+Storm reaches the coast</h1><p>+The storm reached the coast early on Monday and left thousands of homes without power, officials said.</p><p>+Short.</p><p>+Schools stay closed, and trains will not run before Tuesday evening. See <a>the timetable</a> for more on that.</p></article><footer>-&copy; Daily site. All rights reserved.</footer></body></html>",
-    "<body><div id=menu><a>-Start</a> <a>-Shop</a> <a>-Contact</a></div><div class=content><h2>+How to plant a tree</h2><p>+Dig a hole that is twice as wide as the roots and just as deep. Water it well before the tree goes in.</p><ul><li>+A spade</li><li>+Two buckets of water, or more in a dry summer</li></ul><blockquote>+Plant in autumn, my grandmother used to say, and never in a hurry.</blockquote></div><div class=sidebar><h3>-Popular posts</h3><p>-<a>Ten ways to prune a rose</a></p><p>-<a>When to mow</a></p></div><div id=comments><h3>-Comments</h3><p>-I tried this last year and it worked very well, thank you for the clear guide to it all.</p><p>-Nice.</p></div><div id=footer><p>-About us. Imprint. We are a small team of gardeners that writes about trees and shrubs.</p></div></body>",
-    "<body><div class='cookie-notice'>-We use cookies to give you the best experience on our site. By going on you agree to their use, as our policy says.</div><main><p>+It was late when they came to the inn. Nobody spoke.</p><p>+Well?</p><p>+The landlord looked up from his book, counted the guests twice and pointed up the narrow stairs behind the bar.</p><form>-Your name Your message Send us your opinion about this story.</form><p>+In the morning they were gone.</p></main><aside><p>-Read next: the inn at the end of the world, a story in three parts.</p></aside><footer><ul><li>-<a>Terms</a></li><li>-<a>Privacy</a></li></ul></footer></body>",
-    "<body><table><tr><td><a>-Forum</a></td><td><a>-Members list</a></td><td><a>-Log in</a></td></tr></table><div>+The council met on Thursday to talk about the bridge. After three hours it had agreed on nothing but the date of its next meeting, in the first week of May.</div><div>+The mayor said that the old bridge could be used for one more winter, though not by lorries.</div><div>+Work may begin in June.</div><div><a>-Back to the list of all articles</a> | <a>-Print</a> | <a>-Next page</a></div><div>-Copyright 2020</div></body>",
-    "<body><div><a>-Skip to the content</a></div><p>+Rivers carve valleys over thousands of years, and where the rock is hard they carve them narrow and deep, with walls that may rise a mile.</p><h2>+Soft rock</h2><p>+Where the rock is soft the valley widens.</p><p>+Floods move gravel and sand in a day that a calm river would not move in a year, and they leave fresh banks behind them.</p><div class=related><p>-Glaciers shape the land too, and you can read all about them in our long series on ice and snow.</p></div><div class='share social'>-Share this on your network of choice</div></body>",
-    "<body><div><a>-One</a></div><div><a>-Two words</a></div><div><a>-Three words here</a></div><p>+One sentence of a text that has no element around it but the body, and that goes on for some words.</p><p>+Another one that follows it, with <a>a link</a> in the middle of its words, is part of the text as well.</p><div><a>-Imprint</a></div><div>-Contact</div></body>",
-)
-
-
 def _gini(pos: np.ndarray, n: np.ndarray) -> np.ndarray:
     share = pos / np.maximum(n, 1)
     return n * share * (1 - share)
 
 
-def grow(x: np.ndarray, y: np.ndarray, depth: int = 6, least: int = 2):
+def grow(x: np.ndarray, y: np.ndarray, depth: int = 8, least: int = 2):
     """A binary decision tree by least Gini impurity: (feature, threshold, tree up to it, tree above it), or the share of main text."""
     if depth == 0 or y.min() == y.max() or len(y) < 2 * least:
         return float(y.mean())
@@ -216,7 +213,7 @@ def main_text(page: str, tree=None) -> str:
 def extract(pages: DataFrame, *, html_col: str = "html", name: str = "text", tree=None) -> DataFrame:
     """`pages` with the string column `name` appended: the main text of the whole page, with character references decoded.
 
-    A null or empty page has an empty text, as has one without main text. A column called `name` in the input is replaced; repeated rows are
+    A null or empty page has an empty text, as has one without main text; a page of one block is judged like any other. A column called `name` in the input is replaced; repeated rows are
     extracted each; an empty table gives an empty result. Broken markup never fails: what is no tag is text.
     """
     rest = [c for c in pages.columns if c != name]
