@@ -18,12 +18,15 @@ _ROOTS: dict[str, SparkSession] = {}
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or a temporary one where it is unset (tests)."""
+    """The folder that driver and executors share: spark.checkpoint.dir. Where it is unset, a local master (tests) gets a temporary one; a
+    cluster is refused, since its executors would not see it."""
     folder = spark.conf.get("spark.checkpoint.dir", None)
     if folder:
         return folder.rstrip("/")
     known = spark.sparkContext.getCheckpointDir()
     if not known:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         spark.sparkContext.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="semimul-"))
         known = spark.sparkContext.getCheckpointDir()
     return known.rstrip("/")
@@ -44,29 +47,59 @@ def _remove_all() -> None:
             pass
 
 
+#: Runtime setting: shuffle files of a query go when the query ends.
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+#: Bytes of an operator's largest written table for each file of its small results.
+BYTES_A_FILE = 32 << 20
+#: A key with more than one in so many of all rows is hot; fewer than so many keys can be.
+HOT_SHARE = 20_000
+
+
 class Scratch:
     """Tables written to the shared folder between the steps of one operator, so that no step is computed twice and a lost executor costs
     no more than the step at hand. `drop` removes a table that no later step reads; what the returned DataFrame still reads goes when the
-    driver ends."""
+    driver ends. The shuffle files of a step go with the step."""
 
     def __init__(self, spark: SparkSession, name: str):
-        self.spark = spark
+        self.spark, self.largest = spark, 0
         self.root = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
         _ROOTS[self.root] = spark
 
     def save(self, df: DataFrame, name: str, few: bool = False) -> DataFrame:
-        """Writes a table and reads it again. `few`: in few files, for results of a shuffle that are small against it: two a core, or an
-        eighth of the shuffle's partitions where that is more, so that they grow in number with the data."""
+        """Writes a table and reads it again. `few`: in few files, for results of a shuffle that are small against their operator's largest
+        table: two a core, or one for every `BYTES_A_FILE` of that table where that is more."""
         path = f"{self.root}/{name}"
-        most = max(2 * self.spark.sparkContext.defaultParallelism, int(self.spark.conf.get("spark.sql.shuffle.partitions")) // 8)
-        (df.coalesce(most) if few else df).write.mode("overwrite").parquet(path)
-        self.spark.sparkContext._jvm.System.gc()  # shuffle files of finished steps go when the driver collects its garbage
+        most = max(2 * self.spark.sparkContext.defaultParallelism, -(-self.largest // BYTES_A_FILE))
+        before = self.spark.conf.get(_CLEANUP, None)
+        if before is not None:
+            self.spark.conf.set(_CLEANUP, "true")
+        try:
+            (df.coalesce(most) if few else df).write.mode("overwrite").parquet(path)
+        finally:
+            if before is not None:
+                self.spark.conf.set(_CLEANUP, before)
+        if not few:
+            jvm = self.spark.sparkContext._jvm
+            target = jvm.org.apache.hadoop.fs.Path(path)
+            held = target.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).getContentSummary(target)
+            self.largest = max(self.largest, held.getLength())
         return self.spark.read.schema(df.schema).parquet(path)
 
     def drop(self, name: str) -> None:
         _remove(self.spark, f"{self.root}/{name}")
 
 
+def spread_join(rows: DataFrame, table: DataFrame, keys: list[str], weights: DataFrame, total: int, by: list[str], how: str = "inner") -> DataFrame:
+    """`rows` joined with `table` on `keys`, with hot keys dealt over many tasks. `weights` has a row (keys, weight) for each key: how many of
+    the `total` rows hold it. Keys of more than one in HOT_SHARE of the rows, fewer than HOT_SHARE by their definition, are broadcast with
+    a number of salts; their rows are dealt over the salts by the columns `by`, and the table's row is copied for each. `how` may be left."""
+    share = F.lit(HOT_SHARE / max(1, total))
+    hot = F.broadcast(weights.filter(F.col("weight") * share > 1).select(*keys, F.ceil(F.col("weight") * share).cast("int").alias("_of")))
+    dealt = rows.join(hot, keys, "left").withColumn("_salt", F.coalesce(F.pmod(F.xxhash64(*by), F.col("_of")).cast("int"), F.lit(0))).drop("_of")
+    copied = table.join(hot, keys, "left").withColumn("_salt", F.explode(F.sequence(F.lit(0), F.coalesce("_of", F.lit(1)) - 1))).drop("_of")
+    return dealt.join(copied, [*keys, "_salt"], how).drop("_salt")
+
+
 def lower_ascii(text: Column) -> Column:
     """A-Z to a-z and nothing else; the plain lower() does the same where all characters are ASCII, and faster."""
     upper = "".join(map(chr, range(65, 91)))

@@ -18,7 +18,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from semimul.llm.common import Scratch, WordHashes, chunks, mix64
+from semimul.llm.common import Scratch, WordHashes, chunks, mix64, spread_join
 
 #: Rows a band and bands: a pair at similarity 0.8 shares no bucket once in two million pairs, and is then not linked.
 ROWS, BANDS = 6, 48
@@ -26,8 +26,6 @@ ROWS, BANDS = 6, 48
 DRAWS = 64
 #: 64-bit words of a set's parity bitmap.
 WORDS = 4
-#: Edges of one centre that meet in one task.
-EDGES_A_SALT = 1000
 
 _EMPTY = np.uint64(0xFFFFFFFFFFFFFFFF)
 
@@ -108,10 +106,15 @@ def _sketch(batches, width: int, rows: int, bands: int):
             )
 
 
+def _source(docs: DataFrame, id_col: str, text_col: str) -> tuple[DataFrame, str]:
+    """(id, text) with the text as bytes, and the id's type."""
+    return docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("binary").alias("text")), docs.schema[id_col].dataType.simpleString()
+
+
 def sketch_table(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", width: int = 4, rows: int = ROWS, bands: int = BANDS) -> DataFrame:
     """(id, n, f1, f2, keys): set size, fingerprint and band keys of each document."""
-    source = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("binary").alias("text"))
-    return source.mapInArrow(lambda b: _sketch(b, width, rows, bands), "id long, n long, f1 long, f2 long, keys array<long>")
+    source, kind = _source(docs, id_col, text_col)
+    return source.mapInArrow(lambda b: _sketch(b, width, rows, bands), f"id {kind}, n long, f1 long, f2 long, keys array<long>")
 
 
 def _sets(batches, width: int):
@@ -128,25 +131,31 @@ def components(edges: DataFrame, scratch: Scratch, name: str) -> DataFrame:
     """(id, comp) for each end of the undirected edges (a, b): the least id reachable. A node takes the least label next to it and hands it to
     the node whose id was its label, so that whole trees are hooked at once, and labels jump through their labels' labels. Rounds go on
     until no label moves and grow with the logarithm of a component's width, whatever the order of its ids (a simulated path of a million nodes
-    took 20 to 25); each round is a written table."""
+    took 20 to 25); each round is a written table. Nodes with very many links, and labels of very many nodes, are dealt over tasks."""
     both = scratch.save(edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), f"{name}-edges", few=True)
-    labels = scratch.save(both.groupBy("a").agg(F.least("a", F.min("b")).alias("comp")).select(F.col("a").alias("id"), "comp"), f"{name}-0", few=True)
+    labels = scratch.save(both.groupBy("a").agg(F.least("a", F.min("b")).alias("comp"), F.count(F.lit(1)).alias("degree")).select(F.col("a").alias("id"), "comp", "degree"), f"{name}-0", few=True)
+    n_edges, n_nodes, none = both.count(), labels.count(), F.lit(None).cast(labels.schema["id"].dataType)
     for i in count(1):
-        near = both.join(labels.withColumnRenamed("id", "b"), "b").groupBy("a").agg(F.min("comp").alias("near"))
-        low = labels.join(near, labels.id == near.a).select("id", "comp", F.least("comp", "near").alias("low"))
+        at_b = labels.select(F.col("id").alias("b"), "comp", "degree")
+        told = spread_join(both, at_b.drop("degree"), ["b"], at_b.select("b", F.col("degree").alias("weight")), n_edges, ["a"])
+        near = told.groupBy("a").agg(F.min("comp").alias("near"))
+        low = labels.join(near, labels.id == near.a).select("id", "comp", "degree", F.least("comp", "near").alias("low"))
         # to the node itself and, where the label falls, to the old label's node
-        own = F.struct("id", "comp", "low")
-        root = F.struct(F.col("comp").alias("id"), F.lit(None).cast("long").alias("comp"), "low")
+        own = F.struct("id", "comp", "degree", "low")
+        root = F.struct(F.col("comp").alias("id"), none.alias("comp"), F.lit(None).cast("long").alias("degree"), "low")
         told = low.select(F.explode(F.when(F.col("low") < F.col("comp"), F.array(own, root)).otherwise(F.array(own))).alias("x")).select("x.*")
-        low = told.groupBy("id").agg(F.max("comp").alias("comp"), F.min("low").alias("low"))
-        jump = labels.select(F.col("id").alias("low"), F.col("comp").alias("far"))
-        new = low.join(jump, "low", "left").select("id", F.least("low", F.coalesce("far", "low")).alias("new"), (F.least("low", F.coalesce("far", "low")) != F.col("comp")).alias("moved"))
+        low = told.groupBy("id").agg(F.max("comp").alias("comp"), F.max("degree").alias("degree"), F.min("low").alias("low"))
+        held = low.groupBy("low").agg(F.count(F.lit(1)).alias("weight"))
+        jump = held.join(labels.select(F.col("id").alias("low"), F.col("comp").alias("far")), "low").select("low", "far")
+        new = spread_join(low, jump, ["low"], held, n_nodes, ["id"])
+        new = new.select("id", "degree", F.least("low", "far").alias("new"), (F.least("low", "far") != F.col("comp")).alias("moved"))
         new = scratch.save(new, f"{name}-{i}", few=True)
         moved = not new.filter("moved").isEmpty()
         scratch.drop(f"{name}-{i - 1}")
-        labels = new.select("id", F.col("new").alias("comp"))
+        labels = new.select("id", F.col("new").alias("comp"), "degree")
         if not moved:
-            return labels
+            scratch.drop(f"{name}-edges")
+            return labels.select("id", "comp")
 
 
 def _similar(inter: Column, n: Column, m: Column, percent: int) -> Column:
@@ -154,42 +163,45 @@ def _similar(inter: Column, n: Column, m: Column, percent: int) -> Column:
 
 
 def confirm(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """The pairs (a, b) whose full sets are similar. A centre of many pairs is dealt over salts, each with a copy of its set."""
-    salts = pairs.groupBy("a").agg(F.ceil(F.count(F.lit(1)) / EDGES_A_SALT).cast("int").alias("salts"))
-    left = sets.join(salts, sets.id == salts.a).select("a", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"), F.col("salts").alias("of"), F.col("set").alias("left"))
-    right = pairs.join(salts, "a").join(sets, F.col("b") == F.col("id")).select("a", F.pmod(F.xxhash64("b"), F.col("salts")).cast("int").alias("salt"), "b", F.col("set").alias("right"))
+    """The pairs (a, b), a written table, whose full sets are similar. The set of a centre of very many pairs is copied to many tasks."""
+    ends = pairs.groupBy("a").agg(F.count(F.lit(1)).alias("weight"))
+    left = sets.join(ends, sets.id == ends.a).select("a", F.col("set").alias("left"))
+    right = pairs.join(sets, F.col("b") == F.col("id")).select("a", "b", F.col("set").alias("right"))
     inter = F.size(F.array_intersect("left", "right"))
-    return right.join(left, ["a", "salt"]).filter(_similar(inter, F.size("left"), F.size("right"), percent)).select("a", "b")
+    met = spread_join(right, left, ["a"], ends, pairs.count(), ["b"])
+    return met.filter(_similar(inter, F.size("left"), F.size("right"), percent)).select("a", "b")
 
 
-def _finish(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+def _finish(members: DataFrame, sets: DataFrame, percent: int, scratch: Scratch) -> DataFrame:
     """Pairs of documents of different components among `members` (id, comp) that may be similar: they share one of their rarest shingles
     at positions, and have sizes and parity bitmaps, that leave room for the overlap. No similar pair is missed."""
     t = percent / 100
     rows = sets.join(members, "id").select("id", "comp", F.size("set").alias("n"), F.explode("set").alias("tok"))
-    df = rows.groupBy("tok").agg(F.count(F.lit(1)).alias("df")).filter("df > 1")
+    df = scratch.save(rows.groupBy("tok").agg(F.count(F.lit(1)).alias("df")).filter("df > 1"), "df", few=True)
+    weights, total = df.select("tok", F.col("df").alias("weight")), sets.agg(F.sum(F.size("set"))).first()[0] or 0
     # parity bitmap: two sets differ in at least as many shingles as their bitmaps differ in bits
     parity = [F.bit_xor(F.expr(f"IF(pmod(tok, {WORDS}) = {q}, shiftleft(1L, CAST(pmod(shiftright(tok, 8), 64) AS INT)), 0L)")).alias(f"x{q}") for q in range(WORDS)]
     toks = F.sort_array(F.collect_list(F.struct(F.coalesce("df", F.lit(0)).alias("df"), "tok"))).alias("toks")
-    near = rows.join(df, "tok", "left").groupBy("id", "comp", "n").agg(toks, *parity)
+    near = spread_join(rows, df, ["tok"], weights, total, ["id"], "left").groupBy("id", "comp", "n").agg(toks, *parity)
     # shingles of one document only come first and have no partner, yet they fill the prefix
     room = F.col("n") - F.ceil(F.col("n") * t - 1e-9) + 1
     bits = [f"x{q}" for q in range(WORDS)]
     prefix = near.select("id", "comp", "n", *bits, F.posexplode(F.slice("toks", F.lit(1), room.cast("int"))).alias("pos", "x")).filter("x.df > 0").select("id", "comp", "n", *bits, "pos", F.col("x.tok").alias("tok"))
     need = lambda n, m: F.ceil((n + m) * (t / (1 + t)) - 1e-9)
-    long_, short = prefix.alias("l"), prefix.filter(F.col("n") - F.col("pos") >= need(F.col("n"), F.col("n"))).alias("s")
-    n, m = F.col("l.n"), F.col("s.n")
-    bound = (m < n) | ((m == n) & (F.col("s.id") < F.col("l.id")))
-    fits = (m >= n * t - 1e-9) & (n - F.col("l.pos") >= need(n, m)) & (m - F.col("s.pos") >= need(n, m))
-    apart = sum((F.bit_count(F.col(f"l.{x}").bitwiseXOR(F.col(f"s.{x}"))) for x in bits), F.lit(0))
+    names = lambda p: [F.col(c).alias(f"{p}_{c}") for c in ("id", "comp", "n", "pos", *bits)]
+    long_, short = prefix.select("tok", *names("l")), prefix.filter(F.col("n") - F.col("pos") >= need(F.col("n"), F.col("n"))).select("tok", *names("s"))
+    n, m = F.col("l_n"), F.col("s_n")
+    bound = (m < n) | ((m == n) & (F.col("s_id") < F.col("l_id")))
+    fits = (m >= n * t - 1e-9) & (n - F.col("l_pos") >= need(n, m)) & (m - F.col("s_pos") >= need(n, m))
+    apart = sum((F.bit_count(F.col(f"l_{x}").bitwiseXOR(F.col(f"s_{x}"))) for x in bits), F.lit(0))
     fits = fits & (apart <= n + m - 2 * need(n, m))
-    found = long_.join(short, (F.col("l.tok") == F.col("s.tok")) & (F.col("l.comp") != F.col("s.comp")) & bound & fits)
-    return found.select(F.least("l.id", "s.id").alias("a"), F.greatest("l.id", "s.id").alias("b")).distinct()
+    found = spread_join(long_, short, ["tok"], weights, total, ["l_id"]).filter((F.col("l_comp") != F.col("s_comp")) & bound & fits)
+    return found.select(F.least("l_id", "s_id").alias("a"), F.greatest("l_id", "s_id").alias("b")).distinct()
 
 
 def near_duplicates(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = 80, rows: int = ROWS, bands: int = BANDS) -> DataFrame:
     """(id, n_shingles, component_id) for each row: documents whose sets of `width`-word shingles have a Jaccard similarity of at least
-    `percent` / 100 are linked, and component_id is the least id reachable over links.
+    `percent` / 100 are linked, and component_id is the least id reachable over links. Ids may be of any type that can be ordered.
 
     Words are parted by ASCII white space, with A-Z in lower case. A document of fewer than `width` words has its whole sequence as its one
     shingle; null, empty and blank texts have none and are linked with nothing. Rows that share an id are one node (linked if either text
@@ -198,35 +210,53 @@ def near_duplicates(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
     scratch = Scratch(docs.sparkSession, "near-dup")
     sketch = scratch.save(sketch_table(docs, id_col=id_col, text_col=text_col, width=width, rows=rows, bands=bands), "sketch")
     usable = sketch.filter("n > 0 and id is not null")
-    # equal sets: one representative
-    copies = scratch.save(usable.groupBy("f1", "f2", "n").agg(F.min("id").alias("rep")), "copies", few=True)
-    member = usable.select("f1", "f2", "n", "id").join(copies, ["f1", "f2", "n"]).select("id", "rep").filter("id <> rep").distinct()
+    same = ["f1", "f2", "n"]
+    # equal sets: one representative, which alone takes part from here on
+    copies = scratch.save(usable.groupBy(*same).agg(F.min("id").alias("rep"), F.count(F.lit(1)).alias("weight")), "copies", few=True)
     reps = usable.join(copies.select("f1", "f2", F.col("rep").alias("id")), ["f1", "f2", "id"], "left_semi")
 
     keyed = reps.select(F.explode("keys").alias("key"), "id", "n")
-    stars = keyed.groupBy("key").agg(F.min("id").alias("centre"), F.max("id").alias("last")).filter("centre <> last").select("key", "centre")
-    shared = scratch.save(keyed.join(stars, "key"), "shared", few=True)
+    stars = keyed.groupBy("key").agg(F.min("id").alias("centre"), F.max("id").alias("last"), F.count(F.lit(1)).alias("weight")).filter("centre <> last")
+    stars = scratch.save(stars.select("key", "centre", "weight"), "stars", few=True)
     sizes = copies.select(F.col("rep").alias("centre"), F.col("n").alias("m"))
-    fits = (100 * F.least("n", "m") >= percent * F.greatest("n", "m"))
-    pairs = shared.filter("id <> centre").select("centre", "id", "n").distinct().join(sizes, "centre").filter(fits)
+    centres = stars.join(sizes.groupBy("centre").agg(F.collect_set("m").alias("ms")), "centre").select("key", "centre", "ms")
+    shared = scratch.save(spread_join(keyed, centres, ["key"], stars.select("key", "weight"), bands * copies.count(), ["id"]), "shared", few=True)
+    fits = F.exists("ms", lambda m: 100 * F.least("n", m) >= percent * F.greatest("n", m))
+    pairs = shared.filter((F.col("id") != F.col("centre")) & fits)
     pairs = scratch.save(pairs.select(F.col("centre").alias("a"), F.col("id").alias("b")).distinct(), "pairs", few=True)
 
     held = shared.select("id").distinct()
-    source = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("binary").alias("text")).join(held, "id", "left_semi")
-    sets = source.mapInArrow(lambda b: _sets(b, width), "id long, set array<long>")
-    paired = pairs.select(F.col("a").alias("id")).unionByName(pairs.select(F.col("b").alias("id"))).distinct()
-    links = scratch.save(confirm(pairs, sets.join(paired, "id", "left_semi"), percent), "links", few=True)
+    source, kind = _source(docs, id_col, text_col)
+    sets = scratch.save(source.join(held, "id", "left_semi").mapInArrow(lambda b: _sets(b, width), f"id {kind}, set array<long>"), "sets")
+    links = scratch.save(confirm(pairs, sets, percent), "links", few=True)
     found = components(links, scratch, "star")
 
-    # buckets with more than one component are finished exactly
+    # buckets with more than one component are finished exactly, on top of what the stars have linked
     lab = shared.select("key", "id").join(found, "id", "left").select("key", "id", F.coalesce("comp", "id").alias("comp"))
-    mixed = lab.groupBy("key").agg(F.min("comp").alias("c1"), F.max("comp").alias("c2")).filter("c1 <> c2").select("key")
-    members = scratch.save(lab.join(mixed, "key", "left_semi").select("id", "comp").distinct(), "members", few=True)
-    rest_sets = scratch.save(sets.join(members.select("id"), "id", "left_semi"), "rest_sets", few=True)
-    more = scratch.save(_finish(members, rest_sets, percent), "more", few=True)
-    more_links = confirm(more, rest_sets, percent)
-    every = links.unionByName(more_links).unionByName(member.select(F.col("rep").alias("a"), F.col("id").alias("b")))
-    comps = components(every, scratch, "all")
-    for name in ("copies", "shared", "pairs", "links", "members", "rest_sets", "more", "star-edges", "all-edges"):
+    mixed = lab.groupBy("key").agg(F.min("comp").alias("c1"), F.max("comp").alias("c2"), F.count(F.lit(1)).alias("weight")).filter("c1 <> c2").select("key", "weight")
+    mixed = scratch.save(mixed, "mixed", few=True)
+    members = spread_join(lab, mixed.select("key"), ["key"], mixed, bands * copies.count(), ["id"])
+    members = scratch.save(members.select("id", "comp").distinct(), "members", few=True)
+    more = scratch.save(_finish(members, sets.join(members.select("id"), "id", "left_semi"), percent, scratch), "more", few=True)
+    comp_of = members.groupBy("id").agg(F.min("comp").alias("comp"))
+    linked = confirm(more, sets, percent).join(comp_of.select(F.col("id").alias("a"), F.col("comp").alias("ca")), "a").join(comp_of.select(F.col("id").alias("b"), F.col("comp").alias("cb")), "b")
+    edges = linked.select(F.col("ca").alias("a"), F.col("cb").alias("b"))
+    # rows that share an id but not a text tie their representatives together
+    twice = usable.groupBy("id").agg(F.count(F.lit(1)).alias("rows")).filter("rows > 1").select("id")
+    tied = usable.join(twice, "id", "left_semi").select("id", *same).distinct().join(copies, same).join(found.withColumnRenamed("id", "rep"), "rep", "left")
+    tied = tied.groupBy("id").agg(F.collect_set(F.coalesce("comp", "rep")).alias("c")).filter(F.size("c") > 1).select(F.array_min("c").alias("a"), F.explode("c").alias("b")).filter("a <> b")
+    above = components(edges.unionByName(tied), scratch, "all")
+
+    first = copies.join(found.withColumnRenamed("id", "rep"), "rep", "left").select(*same, "weight", F.coalesce("comp", "rep").alias("c1"))
+    final = scratch.save(first.join(above.select(F.col("id").alias("c1"), F.col("comp").alias("c2")), "c1", "left").select(*same, "weight", F.coalesce("c2", "c1").alias("component_id")), "final", few=True)
+    for name in ("copies", "stars", "shared", "pairs", "sets", "links", "mixed", "members", "df", "more"):
         scratch.drop(name)
-    return sketch.select("id", "n").join(comps, "id", "left").select("id", F.col("n").alias("n_shingles"), F.coalesce("comp", "id").alias("component_id"))
+    done = spread_join(usable.select("id", *same), final.drop("weight"), same, final.select(*same, "weight"), usable.count(), ["id"])
+    rest = sketch.filter("n = 0 or id is null").select("id", "n", F.col("id").alias("component_id"))
+    done = done.select("id", "n", "component_id").unionByName(rest)
+    blank = rest.filter("id is not null").select("id").join(usable.select("id"), "id", "left_semi")
+    if not blank.isEmpty():
+        # a blank row whose id has words in another row goes with that row
+        own = done.filter("n > 0").join(blank.distinct(), "id", "left_semi").groupBy("id").agg(F.min("component_id").alias("own"))
+        done = done.join(own, "id", "left").select("id", "n", F.coalesce("own", "component_id").alias("component_id"))
+    return done.select("id", F.col("n").alias("n_shingles"), "component_id")
