@@ -41,18 +41,14 @@ def counts(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", l
 
     def of(w: Column, t: Column, lang: Column) -> Column:
         n = F.size(w)
-        # three-word windows: position and hash in one number, so that equal windows are neighbours after the sort of a plain array
-        tri = lambda i: F.xxhash64(F.get(w, i), F.get(w, i + 1), F.get(w, i + 2))
-        places = F.sequence(F.lit(0), n - 3)
-        bits = F.lit(1 << 15).cast("long")
-        packed = F.sort_array(F.transform(places, lambda i: tri(i) - F.pmod(tri(i), bits) + i))
-        pairs = F.array_sort(F.transform(places, lambda i: F.struct(tri(i).alias("h"), i.alias("i"))))
-        head = lambda p: p - F.pmod(p, bits)
-        same = lambda s, key: F.filter(s, lambda x, k: ((k > 0) & (key(F.get(s, F.greatest(k - 1, F.lit(0)))) == key(x))) | (key(F.get(s, k + 1)) == key(x)))
+        # three-word windows: equal hashes are neighbours after the sort; texts without any need none
+        hashes = F.transform(F.sequence(F.lit(0), n - 3), lambda i: F.xxhash64(F.get(w, i), F.get(w, i + 1), F.get(w, i + 2)))
         bound = lambda make, use: F.get(F.transform(F.array(make), use), F.lit(0))
-        short = bound(packed, lambda s: F.transform(same(s, head), lambda p: F.pmod(p, bits).cast("int")))
-        long_ = bound(pairs, lambda s: F.transform(same(s, lambda x: x["h"]), lambda x: x["i"]))
-        again = F.when(n < 3, F.expr("CAST(array() AS array<int>)")).when(n < 1 << 15, short).otherwise(long_)
+        none = F.expr("CAST(array() AS array<int>)")
+        pairs = lambda h: F.sort_array(F.transform(h, lambda x, i: F.struct(x.alias("h"), i.alias("i"))))
+        same = lambda s: F.filter(s, lambda x, k: ((k > 0) & (F.get(s, F.greatest(k - 1, F.lit(0)))["h"] == x["h"])) | (F.get(s, k + 1)["h"] == x["h"]))
+        repeats = lambda h: F.when(F.size(F.array_distinct(h)) < F.size(h), bound(pairs(h), lambda s: F.transform(same(s), lambda x: x["i"]))).otherwise(none)
+        again = F.when(n < 3, none).otherwise(bound(hashes, repeats))
         # words that windows at sorted places cover: three, or the gap to the next place
         cover = bound(F.sort_array(again), lambda q: F.aggregate(F.transform(q, lambda x, k: F.least(F.lit(3), F.coalesce(F.get(q, k + 1) - x, F.lit(3)))), F.lit(0), lambda a, x: a + x))
         lines = F.filter(F.split(t, "\n", -1), lambda x: F.length(F.btrim(x, F.lit(WORD_SPACE))) > 0)
@@ -62,9 +58,11 @@ def counts(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", l
             r.alias("r"), F.length(r).alias("all"), F.length(a).alias("ascii"), F.length(F.regexp_replace(a, "[A-Z]+", "")).alias("no_capital"), F.length(F.regexp_replace(a, "[0-9]+", "")).alias("no_digit"), F.length(F.regexp_replace(a, "[.,;:!?'\"()-]+", "")).alias("no_prose"))))
         common = F.lit(None)
         for code, ws in COMMON_WORDS.items():
-            joined = F.concat(F.lit(" "), F.array_join(F.filter(F.transform(w, lambda x: F.lower(x)), lambda x: x.isin(ws)), "  "), F.lit(" "))
-            number = lambda s, c: F.floor((F.length(s) - F.length(F.replace(s, F.lit(f" {c} "), F.lit("")))) / (len(c) + 2)).cast("long")
-            mine = bound(joined, lambda s: F.array(*[number(s, c) for c in ws]))
+            # one pass finds the listed words and their numbers; the counts are over the numbers
+            listed = F.filter(F.transform(w, lambda x: F.lower(x)), lambda x: x.isin(ws))
+            numbers = F.transform(listed, lambda x: F.array_position(F.array(*map(F.lit, ws)), x))
+            number = lambda s, c: F.size(F.filter(s, lambda x: x == c + 1)).cast("long")
+            mine = bound(numbers, lambda s: F.array(*[number(s, c) for c in range(len(ws))]))
             common = F.when(lang == code, mine).otherwise(common)
         common = F.coalesce(common, F.array_repeat(F.lit(0).cast("long"), size - 1))
         return bound(classes, lambda c: F.struct(
