@@ -12,7 +12,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from semimul.llm.common import WORD_SPACE, Scratch, hash128, lower_ascii
+from semimul.llm.common import WORD_SPACE, Scratch, hash128, lower_ascii, spread_join
 
 
 def _lines(text: Column) -> Column:
@@ -28,11 +28,13 @@ def keep_bitmaps(docs: DataFrame, scratch: Scratch, *, id_col: str = "doc_id", t
     lines = scratch.save(lines, "lines")
 
     dealt = lines.repartitionByRange("h1", "h2", "id").sortWithinPartitions("h1", "h2", "id", "pos")
-    first = dealt.withColumn("nth", F.row_number().over(Window.partitionBy("h1", "h2", "id").orderBy("pos"))).filter("nth = 1")
-    frequent = first.groupBy("h1", "h2").agg(F.count(F.lit(1)).alias("n_docs"), F.max("id").alias("keeper")).filter(F.col("n_docs") >= min_docs)
-    frequent = scratch.save(frequent.select("h1", "h2", "keeper"), "frequent")
+    first = dealt.withColumn("nth", F.row_number().over(Window.partitionBy("h1", "h2", "id").orderBy("pos")))
+    held = first.groupBy("h1", "h2").agg(F.count_if(F.col("nth") == 1).alias("n_docs"), F.max("id").alias("keeper"), F.count(F.lit(1)).alias("weight"))
+    frequent = scratch.save(held.filter(F.col("n_docs") >= min_docs).select("h1", "h2", "keeper", "weight"), "frequent")
 
-    lost = lines.join(frequent, ["h1", "h2"]).filter(~F.col("id").eqNullSafe(F.col("keeper")))
+    # a line that very many documents hold is dealt over many tasks
+    met = spread_join(lines, frequent.drop("weight"), ["h1", "h2"], frequent.select("h1", "h2", "weight"), lines.count(), ["id", "pos"])
+    lost = met.filter(~F.col("id").eqNullSafe(F.col("keeper")))
     bit = F.expr("shiftleft(1L, pos % 64)")
     words = lost.groupBy("id", F.floor(F.col("pos") / 64).cast("int").alias("word")).agg(F.bit_or(bit).alias("bits"))
     return words.groupBy("id").agg(F.sum(F.bit_count("bits")).alias("n_dropped"), F.collect_list(F.struct("word", "bits")).alias("words"))
@@ -52,8 +54,10 @@ def drop_repeated_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: st
     maps = keep_bitmaps(docs, scratch, id_col=id_col, text_col=text_col, min_chars=min_chars, min_docs=min_docs).withColumnsRenamed({"id": "_lost_id", "n_dropped": "_n_lost", "words": "_lost"})
     old = docs.drop("n_lines", "n_dropped")
     joined = old.join(maps.hint("shuffle_hash"), F.col(id_col).eqNullSafe(F.col("_lost_id")), "left")
-    found = F.map_from_entries("_lost")
-    dense = F.transform(F.sequence(F.lit(0), F.element_at(F.array_sort(F.map_keys(found)), -1)), lambda w: F.coalesce(F.get(F.map_values(F.map_filter(found, lambda k, v: k == w)), F.lit(0)), F.lit(0).cast("long")))
+    last = F.array_max(F.transform("_lost", lambda x: x["word"]))
+    absent = F.array_except(F.sequence(F.lit(0), last), F.transform("_lost", lambda x: x["word"]))
+    every = F.concat("_lost", F.transform(absent, lambda w: F.struct(w.alias("word"), F.lit(0).cast("long").alias("bits"))))
+    dense = F.transform(F.sort_array(every), lambda x: x["bits"])
     dense = F.when(F.col("_lost").isNotNull(), dense)
     bits = lambda d, i: F.coalesce(F.get(d, F.floor(i / 64).cast("int")), F.lit(0).cast("long"))
     # within transform() over one element the dense bitmap is a bound variable; as a column it would be worked out again for each line
