@@ -12,14 +12,12 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from semimul.llm.common import Scratch, lower_ascii
+from semimul.llm.common import Scratch, lower_ascii, spread_join
 
 #: Words of a shingle; windows of fewer words are one shingle.
 SHINGLE = 4
 #: Benchmark shingles that are broadcast at most (about 16 MB); more are joined by a shuffle.
 BROADCAST_SHINGLES = 500_000
-# Hash that stands for "this document is here"; it is made of no words.
-_MARK = "xxhash64('document')"
 
 
 def words(text: Column) -> Column:
@@ -60,21 +58,23 @@ def contamination(docs: DataFrame, items: DataFrame, *, id_col: str = "doc_id",
     small = needed.count() <= BROADCAST_SHINGLES
     widths = sorted(r.width for r in unique.select("width").distinct().collect())  # four at most
 
-    # bound as a lambda's variable the words are cut once a document; as a column they would be cut again at each position
-    made = F.transform(F.array(words(F.col(text_col))), lambda w: F.struct(F.size(w).alias("n"), F.concat(F.expr(f"array({_MARK})"), *[_shingles(w, width, whole=True) for width in widths]).alias("hs")))
+    # bound as a lambda's variable the words are cut once a document; as a column they would be cut again at each position. Place 0 says that
+    # the document is here: its hash is one of its own, so that no task gets the places 0 of all documents.
+    made = F.transform(F.array(words(F.col(text_col))), lambda w: F.struct(F.size(w).alias("n"), F.concat(F.array(F.xxhash64(F.lit("document"), F.col(id_col), F.size(w))), *[_shingles(w, width, whole=True) for width in widths]).alias("hs")))
     hashed = docs.select(F.col(id_col).alias("id"), F.inline(made))
     spread = hashed.select("id", "n", F.posexplode("hs").alias("at", "h"))
-    wanted = needed.unionByName(docs.sparkSession.sql(f"SELECT {_MARK} AS h"))
-    met = scratch.save(spread.join(F.broadcast(wanted) if small else wanted, "h"), "met")
-    marks = met.filter(F.expr(f"h = {_MARK} AND at = 0")).select("id", "n")
+    wanted = needed.withColumn("wanted", F.lit(True))
+    met = spread.join(F.broadcast(wanted) if small else wanted, "h", "left").filter("at = 0 OR wanted")
+    met = scratch.save(met.select("id", "n", "at", "h"), "met")
+    marks = met.filter("at = 0").select("id", "n")
     # position in the document: shingles of each width stand in a block of n places behind the mark
     hits = met.filter("at > 0").select("id", "n", F.expr("CAST((at - 1) % n AS INT)").alias("pos"), "h")
 
-    counts = hits.groupBy("h").agg(F.count(F.lit(1)).alias("df"))
+    counts = scratch.save(hits.groupBy("h").agg(F.count(F.lit(1)).alias("df")), "counts")
     ranked = unique.select("wid", "len", "hashes", F.posexplode("hashes").alias("offset", "h")).join(counts, "h", "left")
     rarest = ranked.groupBy("wid", "len", "hashes").agg(F.min(F.struct(F.coalesce("df", F.lit(0)).alias("df"), "offset", "h")).alias("r")).filter("r.df > 0")
     rarest = scratch.save(rarest.select("wid", "len", "hashes", F.col("r.offset").alias("offset"), F.col("r.h").alias("h")), "rarest")
-    placed = hits.join(rarest, "h").withColumn("start", F.expr("pos - offset")).filter("start >= 0 AND start + len <= n")
+    placed = spread_join(hits, rarest, ["h"], counts.withColumnRenamed("df", "weight"), met.count(), ["id", "pos"]).withColumn("start", F.expr("pos - offset")).filter("start >= 0 AND start + len <= n")
     # all positions of the window
     laid = placed.select("id", "wid", "len", "start", F.size("hashes").alias("of"), F.posexplode("hashes").alias("k", "h"))
     laid = laid.select("id", "wid", "len", "start", "of", "h", F.expr("start + k").alias("pos"))
