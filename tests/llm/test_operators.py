@@ -44,7 +44,7 @@ def corpus():
         texts[len(texts)] = "\n".join([" ".join(words(rng, 12)), ("  " if k % 2 else "") + (line.upper() if k % 3 else line) + "\t", " ".join(words(rng, 9)), line])
     for _ in range(6):
         texts[len(texts)] = texts[3]
-    texts |= {len(texts) + i: t for i, t in enumerate(["", None, "   \n\t ", "one", "one two three", "a a a a " * 60, "é" * 50 + " ünï", "w1 " * 30_000])}
+    texts |= {len(texts) + i: t for i, t in enumerate(["", None, "   \n\t ", "one", "one two three", "a a a a " * 60, "é" * 50 + " ünï", "w1 " * 30_000, "w1 w2 " * 20_000 + "w3 w1 w2"])}
     return texts
 
 
@@ -77,6 +77,41 @@ def test_near_duplicates_equal_brute_force(spark, corpus, width):
     assert got == brute_near(corpus, width)
 
 
+def test_near_duplicates_with_string_ids(spark, corpus):
+    docs = frame(spark, corpus.items()).withColumn("doc_id", F.concat(F.lit("d"), F.lpad(F.col("doc_id").cast("string"), 6, "0")))
+    got = {r.id: (r.n_shingles, r.component_id) for r in near_dup.near_duplicates(docs, width=4).collect()}
+    assert got == {f"d{i:06}": (n, f"d{c:06}") for i, (n, c) in brute_near(corpus, 4).items()}
+
+
+def test_rows_that_share_an_id_are_one_node(spark):
+    rng = np.random.default_rng(9)
+    one, two = " ".join(words(rng, 60)), " ".join(words(rng, 60))
+    rows = [(7, one), (7, two), (7, ""), (3, one), (9, two), (5, one + " more"), (None, one), (None, None), (4, ""), (4, "")]
+    got = sorted((r.id or -1, r.n_shingles, r.component_id or -1) for r in near_dup.near_duplicates(frame(spark, rows), width=4).collect())
+    assert got == sorted([(7, 57, 3), (7, 57, 3), (7, 0, 3), (3, 57, 3), (9, 57, 3), (5, 58, 3), (-1, 57, -1), (-1, 0, -1), (4, 0, 4), (4, 0, 4)])
+
+
+def test_hot_keys_are_dealt_and_lose_nothing(spark):
+    from semimul.llm.common import spread_join
+
+    rows = spark.range(30_000).select(F.when(F.col("id") % 3 == 0, 0).otherwise(F.col("id")).alias("k"), "id")
+    table = rows.groupBy("k").agg(F.count(F.lit(1)).alias("weight"))
+    met = spread_join(rows, table.withColumnRenamed("weight", "n"), ["k"], table, 30_000, ["id"])
+    assert met.count() == 30_000 and met.filter("k = 0").agg(F.min("n"), F.max("n"), F.count("*")).first()[:] == (10_000, 10_000, 10_000)
+    left = spread_join(rows, table.filter("k = 0").withColumnRenamed("weight", "n"), ["k"], table, 30_000, ["id"], "left")
+    assert left.count() == 30_000 and left.filter("n is null").count() == 20_000
+
+
+def test_a_cluster_without_a_shared_folder_is_refused(spark, monkeypatch):
+    from types import SimpleNamespace
+
+    from semimul.llm import common
+
+    cluster = SimpleNamespace(conf=SimpleNamespace(get=lambda *_: None), sparkContext=SimpleNamespace(getCheckpointDir=lambda: None, master="spark://host:7077"))
+    with pytest.raises(ValueError, match="spark.checkpoint.dir"):
+        common.shared_folder(cluster)
+
+
 def test_star_misses_are_finished(spark):
     """A chain whose ends do not resemble each other is one component although a bucket's centre links only some of it."""
     w = [f"t{k}" for k in range(200)]
