@@ -195,7 +195,7 @@ def _finish(members: DataFrame, sets: DataFrame, percent: int, scratch: Scratch)
     fits = (m >= n * t - 1e-9) & (n - F.col("l_pos") >= need(n, m)) & (m - F.col("s_pos") >= need(n, m))
     apart = sum((F.bit_count(F.col(f"l_{x}").bitwiseXOR(F.col(f"s_{x}"))) for x in bits), F.lit(0))
     fits = fits & (apart <= n + m - 2 * need(n, m))
-    found = spread_join(long_, short, ["tok"], weights, total, ["l_id"]).filter((F.col("l_comp") != F.col("s_comp")) & bound & fits)
+    found = long_.join(short, "tok").filter((F.col("l_comp") != F.col("s_comp")) & bound & fits)
     return found.select(F.least("l_id", "s_id").alias("a"), F.greatest("l_id", "s_id").alias("b")).distinct()
 
 
