@@ -7,6 +7,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 from dataclasses import dataclass
+from itertools import product
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -49,25 +50,23 @@ BY_NAME = {s.name: s for s in (PLUS_TIMES, OR_AND, MIN_PLUS, MAX_PLUS, MAX_TIMES
 
 def check_semiring(spark: SparkSession, s: Semiring, samples: list) -> DataFrame:
     """One row for each law: whether it holds on all combinations of the sample values, and the number of combinations."""
-    one = spark.createDataFrame([(x,) for x in samples], "v: long" if all(isinstance(x, int) and not isinstance(x, bool) for x in samples) else None)
-    one = one.toDF("v")
-    abc = one.toDF("a").crossJoin(one.toDF("b")).crossJoin(one.toDF("c")).withColumn("n", F.monotonically_increasing_id())
-
-    def fold(*cells: Column) -> Column:
-        return F.array(*cells)
-
-    def summed(df: DataFrame, name: str, cells: Column) -> DataFrame:
-        got = df.select("n", F.explode(cells).alias("x")).groupBy("n").agg(s.add(F.col("x")).alias(name))
-        return df.join(got, "n")
-
-    df = summed(summed(abc, "ab", fold(F.col("a"), F.col("b"))), "ba", fold(F.col("b"), F.col("a")))
-    df = summed(summed(df, "bc", fold(F.col("b"), F.col("c"))), "abc", fold(F.col("a"), F.col("b"), F.col("c")))
-    df = summed(summed(df, "ab_c", fold(F.col("ab"), F.col("c"))), "a_bc", fold(F.col("a"), F.col("bc")))
-    df = summed(df, "split", fold(s.mul(F.col("a"), F.col("b")), s.mul(F.col("a"), F.col("c"))))
-    laws = {"sum commutes": F.col("ab").eqNullSafe(F.col("ba")), "sum associates": F.col("ab_c").eqNullSafe(F.col("a_bc")), "product distributes": s.mul(F.col("a"), F.col("bc")).eqNullSafe(F.col("split"))}
-    if s.zero is not None:
-        z = F.lit(s.zero)
-        df = summed(df, "az", fold(F.col("a"), z))
-        laws |= {"zero is neutral": F.col("az").eqNullSafe(F.col("a")), "zero annihilates": s.mul(F.col("a"), z).eqNullSafe(z)}
+    kind = spark.createDataFrame([(x,) for x in samples], "v: long" if all(isinstance(x, int) and not isinstance(x, bool) for x in samples) else None).schema[0].dataType.simpleString()
+    rows = [(n, *abc) for n, abc in enumerate(product(samples, repeat=3))]  # the samples are a few values
+    abc = spark.createDataFrame(rows, f"n long, a {kind}, b {kind}, c {kind}").coalesce(1)
+    z = F.lit(s.zero) if s.zero is not None else None
+
+    def with_sums(df: DataFrame, cells: dict[str, list[Column]]) -> DataFrame:
+        """Each named list of cells summed, all lists in one aggregate; the sums come as columns."""
+        tagged = F.array(*[F.struct(F.lit(name).alias("name"), F.array(*xs).alias("xs")) for name, xs in cells.items()])
+        got = df.select("n", F.inline(tagged)).select("n", "name", F.explode("xs").alias("x")).groupBy("n", "name").agg(s.add(F.col("x")).alias("x"))
+        got = got.groupBy("n").agg(F.map_from_entries(F.collect_list(F.struct("name", "x"))).alias("sums"))
+        return df.join(got, "n").select(*df.columns, *[F.col("sums")[name].alias(name) for name in cells])
+
+    a, b, c = F.col("a"), F.col("b"), F.col("c")
+    df = with_sums(abc, {"ab": [a, b], "ba": [b, a], "bc": [b, c], "split": [s.mul(a, b), s.mul(a, c)]} | ({"az": [a, z]} if z is not None else {}))
+    df = with_sums(df, {"ab_c": [F.col("ab"), c], "a_bc": [a, F.col("bc")]})
+    laws = {"sum commutes": F.col("ab").eqNullSafe(F.col("ba")), "sum associates": F.col("ab_c").eqNullSafe(F.col("a_bc")), "product distributes": s.mul(a, F.col("bc")).eqNullSafe(F.col("split"))}
+    if z is not None:
+        laws |= {"zero is neutral": F.col("az").eqNullSafe(a), "zero annihilates": s.mul(a, z).eqNullSafe(z)}
     found = df.agg(F.count(F.lit(1)).alias("n"), *[F.min(v.cast("int")).alias(k) for k, v in laws.items()])
     return found.select("n", F.explode(F.map_from_arrays(F.array(*map(F.lit, laws)), F.array(*laws))).alias("law", "ok")).select("law", (F.col("ok") == 1).alias("holds"), F.col("n").alias("cases"))

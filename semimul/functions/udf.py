@@ -3,12 +3,11 @@
 from __future__ import annotations
 
 import pandas as pd
-import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from semimul.functions.semiring import BY_NAME, Semiring
-from semimul.operators.multiply import fold, outer_product
+from semimul.functions.semiring import BY_NAME, PLUS_TIMES, Semiring
+from semimul.operators.multiply import fold, outer_product, presum
 
 
 def with_arrow_mul(f, returns: str = "long") -> Semiring:
@@ -59,11 +58,6 @@ def sql_multiply(spark: SparkSession, left: str, right: str, semiring: str = "pl
     return view
 
 
-def arrow_presum(partials: DataFrame) -> DataFrame:
-    """A partition operator that keeps nothing between batches: entries of a batch are summed, then the cells."""
-    def run(batches):
-        for batch in batches:
-            got = pa.Table.from_batches([batch]).group_by(["i", "j"]).aggregate([("v", "sum")])
-            yield from pa.table({"i": got["i"], "j": got["j"], "v": got["v_sum"]}).to_batches()
-
-    return fold(partials.mapInArrow(run, partials.schema))
+def arrow_presum(partials: DataFrame, cache_entries: int | None = 100_000) -> DataFrame:
+    """A partition operator that sums in a table it keeps from batch to batch, and then the cells."""
+    return fold(presum(partials, PLUS_TIMES, cache_entries))

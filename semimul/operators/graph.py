@@ -149,6 +149,22 @@ def pipeline_rows(a: DataFrame, b: DataFrame, consumer, schema, s: Semiring = PL
     return done.mapInArrow(consumer, schema)
 
 
+def pipeline_partials(a: DataFrame, b: DataFrame, consumer, schema, s: Semiring = PLUS_TIMES, *, distributes: bool = False) -> DataFrame:
+    """Sends unsummed products (i, j, v) of A B to `consumer` in the stage that makes them. Each cell may come in any number of parts, so this is
+    right only for a consumer that distributes over the sum, as the caller must say; any other has to wait for the sum."""
+    if not distributes:
+        raise AssertionError("unsummed products may only be piped to a consumer that distributes over the sum")
+    return outer_product(by_col(a), by_row(b), s, emit="partials").mapInArrow(consumer, schema)
+
+
+def cosine(at: DataFrame) -> DataFrame:
+    """(i, j, v): cosine similarity of the columns i of a matrix (k, i, v), in millionths, for pairs i < j that share a key."""
+    c = written(outer_product(at, at.withColumnRenamed("i", "j")), "gram")
+    norm = c.filter("i = j").select("i", F.sqrt(F.col("v").cast("double")).alias("norm"))
+    pairs = c.filter("i < j").join(norm.withColumnRenamed("norm", "ni"), "i").join(norm.select(F.col("i").alias("j"), F.col("norm").alias("nj")), "j")
+    return pairs.select("i", "j", F.floor(F.col("v").cast("double") / (F.col("ni") * F.col("nj")) * 1000000).cast("long").alias("v"))
+
+
 def reach2(start: DataFrame, edges: DataFrame) -> DataFrame:
     """(node) reached in exactly two steps."""
     v = start.select(F.lit(0).cast("long").alias("row"), F.col("node").alias("col"), F.lit(1).cast("long").alias("v"))

@@ -28,11 +28,27 @@ def partial_products_by_row(at: DataFrame, b: DataFrame) -> DataFrame:
     return at.join(degrees(b), "k").groupBy("i").agg(F.sum("degree").cast("long").alias("pp"))
 
 
-def result_entries(at: DataFrame, b: DataFrame, exact: bool = True) -> DataFrame:
-    """One row (n_c): cells of the result; estimated by a sketch over the products' cells where not `exact`."""
-    cells = at.select("k", "i").join(b.select("k", "j"), "k")
-    count = F.count_distinct("i", "j") if exact else F.approx_count_distinct(F.struct("i", "j"), 0.02)
-    return cells.agg(count.alias("n_c"))
+def partial_products_by_column(at: DataFrame, b: DataFrame) -> DataFrame:
+    """(j, pp): products that each column of the result is made of."""
+    return b.join(degrees(at), "k").groupBy("j").agg(F.sum("degree").cast("long").alias("pp"))
+
+
+def result_entries(at: DataFrame, b: DataFrame) -> DataFrame:
+    """One row (n_c): cells of the result, counted; this enumerates the products."""
+    return at.select("k", "i").join(b.select("k", "j"), "k").agg(F.count_distinct("i", "j").alias("n_c"))
+
+
+def expected_entries(at: DataFrame, b: DataFrame) -> DataFrame:
+    """One row (n_c): cells of the result to expect if the products of a row fell on the columns by their weights. Rows and columns are first
+    put in classes by the binary logarithm of their products, so that the sum has some thousands of terms at most and no product is made."""
+    def classes(t: DataFrame, name: str) -> DataFrame:
+        return t.groupBy(F.floor(F.log2(F.col("pp").cast("double"))).alias("class")).agg(F.count(F.lit(1)).cast("double").alias(f"n_{name}"), F.avg(F.col("pp").cast("double")).alias(f"pp_{name}"))
+
+    rows, columns = classes(partial_products_by_row(at, b), "row"), classes(partial_products_by_column(at, b), "col")
+    total = partial_products(at, b).select(F.col("pp").cast("double").alias("pp"))
+    met = rows.crossJoin(columns.select("n_col", "pp_col")).crossJoin(total)  # a class for each power of two on either side
+    hit = F.col("n_row") * F.col("n_col") * (1 - F.exp(-F.col("pp_row") * F.col("pp_col") / F.col("pp")))
+    return met.agg(F.coalesce(F.round(F.sum(hit)), F.lit(0)).cast("long").alias("n_c"))
 
 
 def write_amplification(at: DataFrame, b: DataFrame) -> DataFrame:
@@ -58,6 +74,19 @@ def band_bounds(n: int, bands: int) -> list[tuple[int, int]]:
     return [((p - 1) * n // bands + 1, p * n // bands) for p in range(1, bands + 1)]
 
 
+def band_bounds_weighted(by_row: DataFrame, bands: int) -> list[tuple[int, int]]:
+    """First and last row of bands of about equal weight, from (i, pp): a band ends at the first row where the running weight has reached its
+    share. A band may be empty (last < first) where one row outweighs a share."""
+    from semimul.plans.progress import even_splits
+
+    low, high = by_row.agg(F.min("i"), F.max("i")).first()
+    if low is None:
+        return [(1, 0)] * bands
+    splits = {r["shard"]: r["first"] for r in even_splits(by_row.select(F.col("i").alias("key"), F.col("pp").alias("w")), bands).collect()}  # one row a band
+    starts = [low, *[splits[q] for q in range(2, bands + 1)]]
+    return [(a, z - 1) for a, z in zip(starts, [*starts[1:], high + 1])]
+
+
 def choose_bands(n: int, l: int, budget: int, criterion: str = "average", n_c: int | None = None) -> int | None:
     """The least number of bands whose accumulators fit: `average` asks ceil(n l / p) entries to fit, `strict` the largest band,
     `sparse` the same share of `n_c` expected entries. None if a single row does not fit (or, sparse, nothing does)."""
@@ -73,10 +102,11 @@ def choose_bands(n: int, l: int, budget: int, criterion: str = "average", n_c: i
 
 
 def choose(at: DataFrame, b: DataFrame, *, broadcast_entries: int = 100_000, fold_from: float = 1.3) -> dict:
-    """Picks a method by cost: the row-wise product with a copy of the right table where that is small (its size is counted), the summed outer
-    product where the sum at least folds `fold_from` products into one, partials with a later fold otherwise."""
-    n_b = b.count()
+    """Picks a method by cost, from degree tables alone: the row-wise product with a copy of the right table where that is small (its size is
+    counted), the summed outer product where the sum is expected to fold at least `fold_from` products into one, and partials that are
+    folded later otherwise."""
+    n_b = b.limit(broadcast_entries + 1).count()
     pp = partial_products(at, b).first()[0]
-    n_c = result_entries(at, b, exact=False).first()[0] or 1
+    n_c = min(expected_entries(at, b).first()[0], pp) or 1
     method = "rowwise" if n_b <= broadcast_entries else "summed" if pp / n_c >= fold_from else "partials"
     return {"method": method, "pp": pp, "n_c": n_c, "n_b": n_b}

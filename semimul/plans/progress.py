@@ -2,34 +2,36 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from semimul.functions.semiring import PLUS_TIMES, Semiring
 from semimul.operators.multiply import outer_product
 from semimul.plans import cost
-from semimul.plans.staging import Files
+from semimul.plans.staging import Files, written
+from semimul.plans.store import PartialLog
 
 
-def even_splits(weights: DataFrame, n: int = 2, buckets: int = 10_000) -> DataFrame:
+def running_total(t: DataFrame, by: list[str], weight: str, shard: str | None = None) -> DataFrame:
+    """`t` with `upto`: the sum of `weight` over the rows up to and with this one, in the order of `by`, for each `shard`. Rows are dealt out by
+    ranges of their order; a range's start is the sum of the ranges before it, of which there are as many as partitions, so no task sees
+    more than its range."""
+    own = [shard] if shard else []
+    laid = written(t.repartitionByRange(*own, *by).withColumn("_range", F.spark_partition_id()), "ranges")
+    sums = laid.groupBy(*own, "_range").agg(F.sum(weight).alias("_sum"))
+    before = sums.withColumn("_before", F.sum("_sum").over(Window.partitionBy(*own).orderBy("_range")) - F.col("_sum")).drop("_sum")
+    inside = F.sum(weight).over(Window.partitionBy(*own, "_range").orderBy(*by).rowsBetween(Window.unboundedPreceding, 0))
+    return laid.join(F.broadcast(before), [*own, "_range"]).withColumn("upto", F.col("_before") + inside).drop("_range", "_before")
+
+
+def even_splits(weights: DataFrame, n: int = 2) -> DataFrame:
     """(shard, first): first keys of shards 2 to n, for `weights` (key, w): the first key at which the running weight has reached the shard's
-    share. The running sum is taken over at most `buckets` ranges first, then inside those that hold a split, so no task sees all keys."""
-    total = weights.agg(F.sum("w").alias("total"))
-    cuts = weights.select(F.expr(f"approx_percentile(key, transform(sequence(1, {buckets} - 1), x -> x / {buckets}D), 10000)").alias("c")) if weights.count() > 100_000 else None
-    if cuts is not None:
-        bounds = sorted(set(cuts.first()[0]))
-        marked = weights.withColumn("bucket", F.expr("0"))
-        spark = weights.sparkSession
-        table = spark.createDataFrame([(i, b) for i, b in enumerate(bounds)], ["bucket", "low"])
-        marked = weights.join(F.broadcast(table.withColumn("high", F.lead("low").over(Window.orderBy("low")))), (F.col("key") >= F.col("low")) & (F.col("high").isNull() | (F.col("key") < F.col("high"))), "left").withColumn("bucket", F.coalesce("bucket", F.lit(-1)))
-    else:
-        marked = weights.withColumn("bucket", F.lit(0))
-    before = marked.groupBy("bucket").agg(F.sum("w").alias("bw")).withColumn("before", F.sum("bw").over(Window.orderBy("bucket")) - F.col("bw")).select("bucket", "before")
-    run = marked.join(before, "bucket").withColumn("upto", F.col("before") + F.sum("w").over(Window.partitionBy("bucket").orderBy("key").rowsBetween(Window.unboundedPreceding, 0)))
-    shares = F.explode(F.sequence(F.lit(1), F.lit(n - 1)))
-    goals = total.select("total", shares.alias("t"))
-    reached = run.crossJoin(F.broadcast(goals)).filter(F.col("upto") * n >= F.col("t") * F.col("total")).groupBy("t").agg(F.min("key").alias("first"))
-    return reached.select((F.col("t") + 1).cast("long").alias("shard"), "first")
+    share."""
+    run = running_total(weights, ["key"], "w")
+    goals = run.agg(F.sum("w").alias("total")).select("total", F.explode(F.sequence(F.lit(2), F.lit(max(n, 2)))).alias("shard")).filter(F.col("shard") <= n)
+    # every key is met with the shares, of which there are as many as shards
+    reached = run.select("key", "upto").crossJoin(F.broadcast(goals)).filter(F.col("upto") * n >= (F.col("shard") - 1) * F.col("total"))
+    return reached.groupBy("shard").agg(F.min("key").alias("first")).select(F.col("shard").cast("long").alias("shard"), "first")
 
 
 def split_weights(at: DataFrame, b: DataFrame | None = None) -> DataFrame:
@@ -68,19 +70,53 @@ class SplitPlan:
         return t.sparkSession.read.parquet(path)
 
 
-def monitor(at: DataFrame, b: DataFrame, every: int, *, plan: SplitPlan | None = None, unit: str = "products") -> DataFrame:
-    """(shard, last_k, entries): progress entries, one whenever the products (or the entries read) of a shard have passed another multiple of
-    `every`. A key whose product is finished is a safe point, so an entry names the key after which a run can be taken up."""
+def _per_key(at: DataFrame, b: DataFrame, unit: str) -> DataFrame:
+    """(k, n): what a shared key counts, in products or in entries read."""
     if unit == "products":
-        per = cost.partial_products_by_key(at, b).select("k", F.col("pp").alias("n"))
-    else:
-        per = cost.degrees(at).withColumnRenamed("degree", "x").join(cost.degrees(b), "k").select("k", (F.col("x") + F.col("degree")).alias("n"))
-    per = per.withColumn("shard", plan.shard("k") if plan else F.lit(1))
-    upto = per.withColumn("entries", F.sum("n").over(Window.partitionBy("shard").orderBy("k").rowsBetween(Window.unboundedPreceding, 0)))
+        return cost.partial_products_by_key(at, b).select("k", F.col("pp").alias("n"))
+    return cost.degrees(at).withColumnRenamed("degree", "x").join(cost.degrees(b), "k").select("k", (F.col("x") + F.col("degree")).alias("n"))
+
+
+def monitor(at: DataFrame, b: DataFrame, every: int, *, plan: SplitPlan | None = None, unit: str = "products") -> DataFrame:
+    """(shard, last_k, entries): the progress entries that a run will give, from degree tables: one whenever the products (or the entries read)
+    of a shard have passed another multiple of `every`. A key whose product is finished is a safe point, so an entry names the key after
+    which a run can be taken up. `run_monitored` gives entries of a run as it goes."""
+    per = _per_key(at, b, unit).withColumn("shard", plan.shard("k") if plan else F.lit(1))
+    upto = running_total(per, ["k"], "n", "shard").withColumnRenamed("upto", "entries")
     crossed = F.floor(F.col("entries") / every) > F.floor((F.col("entries") - F.col("n")) / every)
     return upto.filter(crossed).select(F.col("shard").cast("long").alias("shard"), F.col("k").alias("last_k"), F.col("entries").cast("long").alias("entries"))
 
 
+def run_monitored(log: PartialLog, at: DataFrame, b: DataFrame, every: int, *, stop_after: int | None = None) -> list[dict]:
+    """C += A B in steps of about `every` products, each a run of the log. When a step is committed its progress entry is known: the products
+    made so far, as counted while they were made, and the richer key (k, i) of the last entry of A that is done, since a step may end within
+    a key. A run that was stopped is taken up by calling this again with the same log: steps that are there are not made again. Entries come
+    to the driver one a step, by the caller's choice of `every`. `stop_after` ends the run after so many steps."""
+    right = cost.degrees(b).withColumnRenamed("degree", "n")
+    per = at.filter("v <> 0").join(right, "k").select("k", "i", "n")
+    run = running_total(per, ["k", "i"], "n")
+    crossed = F.floor(F.col("upto") / every) > F.floor((F.col("upto") - F.col("n")) / every)
+    ends = [(r.k, r.i) for r in run.filter(crossed).orderBy("k", "i").select("k", "i").collect()]
+    after = lambda p: (F.col("k") > F.lit(p[0])) | ((F.col("k") == F.lit(p[0])) & (F.col("i") > F.lit(p[1])))
+    entries, before = [], None
+    done = total = 0
+    for q, end in enumerate([*ends, None]):
+        if stop_after is not None and q >= stop_after:
+            break
+        part = at
+        part = part if before is None else part.filter(after(before))
+        part = part if end is None else part.filter(~after(end))
+        seen = Observation()
+        partials = outer_product(part, b, log.s, emit="partials").observe(seen, F.count(F.lit(1)).alias("products"))
+        made = log.append(partials, f"step-{q}")
+        done = seen.get["products"] if made else None
+        total = total + done if done is not None and total is not None else None
+        if end is not None:
+            entries.append({"step": q, "last_k": end[0], "last_i": end[1], "products": done, "entries": total, "resumed": not made})
+        before = end
+    return entries
+
+
 def resume_after(at: DataFrame, b: DataFrame, last_k, s: Semiring = PLUS_TIMES, *, i_after=None, emit: str = "partials") -> DataFrame:
     """The rest of a product after key `last_k`; with `i_after`, also what is left of the next key's product beyond that row (the table's
     keys are compared, so the richer key is (k, i))."""

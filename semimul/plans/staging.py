@@ -24,10 +24,15 @@ def fresh(spark: SparkSession, name: str) -> str:
     return f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
 
 
+#: Names of the tables that `written` has made in this process, for measurements.
+WRITTEN: list[str] = []
+
+
 def written(df: DataFrame, name: str = "step") -> DataFrame:
     """The table written to the shared folder and read again, which cuts its lineage and survives lost executors."""
     path = fresh(df.sparkSession, name)
     df.write.parquet(path)
+    WRITTEN.append(name)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
@@ -54,17 +59,21 @@ class Files:
             stream.close()
 
     def write_json(self, path: str, value: dict) -> None:
-        """Written beside and renamed, so that a reader sees the old file or the new one."""
+        """Written beside and renamed. A file that is there already is never touched: that is an error, so of two writers one fails."""
         p, fs = self._at(path)
-        side = self.jvm.org.apache.hadoop.fs.Path(f"{path}.{uuid.uuid4().hex}")
+        side = self.jvm.org.apache.hadoop.fs.Path(f"{path}.{uuid.uuid4().hex}.part")
         stream = fs.create(side, True)
         stream.write(bytearray(json.dumps(value, sort_keys=True).encode()))
         stream.close()
-        if fs.exists(p):
-            fs.delete(p, False)
-        if not fs.rename(side, p):
+        if fs.exists(p) or not fs.rename(side, p):
+            fs.delete(side, False)
             raise OSError(f"could not write {path}")
 
+    def names(self, path: str) -> list[str]:
+        """Names in a folder; none where there is no folder."""
+        p, fs = self._at(path)
+        return [f.getPath().getName() for f in fs.listStatus(p)] if fs.exists(p) else []
+
     def rename(self, old: str, new: str) -> bool:
         p, fs = self._at(old)
         q, _ = self._at(new)

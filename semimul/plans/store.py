@@ -1,7 +1,8 @@
 """The log of partial products: a sum that is done when it is read, or when runs are compacted.
 
-A log is a folder of immutable runs and a manifest that lists the live ones. A run is written beside and becomes live by a new manifest;
-a run id that is live already is not written again, so a step that is tried again changes nothing. One writer a log.
+A log is a folder of immutable runs and numbered manifests, of which the highest lists the live runs. A run becomes live by a manifest of the
+next number, which appears whole or not at all; no manifest is ever replaced, so a writer that dies leaves the log as it was, and of two
+writers one fails. A run id that is live already is not written again, so a step that is tried again changes nothing.
 """
 
 from __future__ import annotations
@@ -20,19 +21,21 @@ class PartialLog:
     def __init__(self, spark: SparkSession, path: str, s: Semiring = PLUS_TIMES):
         self.spark, self.path, self.s, self.files = spark, path.rstrip("/"), s, Files(spark)
 
+    def _generations(self) -> list[int]:
+        return sorted(int(n[:-5]) for n in self.files.names(f"{self.path}/manifests") if n.endswith(".json"))
+
     def manifest(self) -> dict:
-        at = f"{self.path}/manifest.json"
-        return self.files.read_json(at) if self.files.exists(at) else {"base": None, "runs": [], "known": [], "fold": self.s.name, "schema": None, "generation": 0}
+        found = self._generations()
+        if not found:
+            return {"base": None, "runs": [], "known": [], "fold": self.s.name, "schema": None, "generation": 0}
+        return self.files.read_json(f"{self.path}/manifests/{found[-1]:012}.json")
 
     def _commit(self, manifest: dict) -> None:
-        self.files.write_json(f"{self.path}/manifest.json", manifest | {"generation": manifest["generation"] + 1})
+        number = manifest["generation"] + 1
+        self.files.write_json(f"{self.path}/manifests/{number:012}.json", manifest | {"generation": number})
 
-    def append(self, partials: DataFrame, run_id: str, write: str = "c") -> bool:
-        """Adds (i, j, v) entries as a run; False if the run is there already. write: `c`, its transpose `ct`, or `both` in one pass, told apart
-        by a partition column."""
-        manifest = self.manifest()
-        if run_id in manifest["known"]:
-            return False
+    def write_run(self, partials: DataFrame, run_id: str, write: str = "c") -> None:
+        """Writes (i, j, v) entries as a run that is not live yet."""
         entries = partials.select("i", "j", "v")
         if write == "both":
             # one pass over the product: each entry goes out in both orientations
@@ -41,7 +44,15 @@ class PartialLog:
         else:
             out = (entries if write == "c" else entries.select(F.col("j").alias("i"), F.col("i").alias("j"), "v")).withColumn("orient", F.lit(write))
         out.write.mode("overwrite").partitionBy("orient").parquet(f"{self.path}/runs/{run_id}")
-        self._commit(manifest | {"runs": [*manifest["runs"], run_id], "known": [*manifest["known"], run_id], "schema": entries.schema.jsonValue()})
+
+    def append(self, partials: DataFrame, run_id: str, write: str = "c") -> bool:
+        """Adds (i, j, v) entries as a run; False if the run is there already. write: `c`, its transpose `ct`, or `both` in one pass, told apart
+        by a partition column."""
+        manifest = self.manifest()
+        if run_id in manifest["known"]:
+            return False
+        self.write_run(partials, run_id, write)
+        self._commit(manifest | {"runs": [*manifest["runs"], run_id], "known": [*manifest["known"], run_id], "schema": partials.select("i", "j", "v").schema.jsonValue()})
         return True
 
     def _read(self, names: list[str], orient: str, manifest: dict) -> DataFrame | None:
@@ -57,13 +68,17 @@ class PartialLog:
             out = out.unionByName(p)
         return out
 
-    def live(self, orient: str = "c", manifest: dict | None = None) -> DataFrame | None:
+    def live(self, orient: str = "c", manifest: dict | None = None, allow_uncommitted: bool = False) -> DataFrame | None:
         manifest = manifest or self.manifest()
-        return self._read(([manifest["base"]] if manifest["base"] else []) + [f"runs/{r}" for r in manifest["runs"]], orient, manifest)
-
-    def scan(self, rows: Column | None = None, orient: str = "c") -> DataFrame:
-        """(i, j, v), summed on the way out. `rows`, a predicate on i, is pushed below the sum to the scans."""
-        entries = self.live(orient)
+        names = ([manifest["base"]] if manifest["base"] else []) + [f"runs/{r}" for r in manifest["runs"]]
+        if allow_uncommitted:
+            names += [f"runs/{r}" for r in self.files.names(f"{self.path}/runs") if r not in manifest["known"] and not r.startswith("minor-") and "_SUCCESS" in self.files.names(f"{self.path}/runs/{r}")]
+        return self._read(names, orient, manifest)
+
+    def scan(self, rows: Column | None = None, orient: str = "c", allow_uncommitted: bool = False) -> DataFrame:
+        """(i, j, v), summed on the way out. `rows`, a predicate on i, is pushed below the sum to the scans. `allow_uncommitted` also reads
+        runs that are written but not live, for an early look at an unfinished result."""
+        entries = self.live(orient, allow_uncommitted=allow_uncommitted)
         if entries is None:
             raise ValueError("the log has no run")
         return fold(entries.filter(rows) if rows is not None else entries, self.s)
@@ -105,11 +120,13 @@ class PartialLog:
         self._commit(manifest | {"base": name, "runs": []})
 
     def vacuum(self, run_ids: list[str]) -> None:
-        """Deletes runs that no manifest lists any more."""
-        live = set(self.manifest()["runs"])
+        """Deletes runs that no manifest lists any more, and all manifests but the last."""
+        live, found = set(self.manifest()["runs"]), self._generations()
         for r in run_ids:
             if r not in live:
                 self.files.delete(f"{self.path}/runs/{r}")
+        for number in found[:-1]:
+            self.files.delete(f"{self.path}/manifests/{number:012}.json")
 
 
 def multiply_into(log: PartialLog, at: DataFrame, b: DataFrame, run_id: str, *, write: str = "c", metrics: Callable[[dict], None] | None = None) -> dict:

@@ -50,12 +50,27 @@ def select_rows(t: DataFrame, rows: str | DataFrame, column: str = "k", kind: st
     return range_join(t, rows, column)
 
 
-def range_join(t: DataFrame, ranges: DataFrame, column: str, width: int = 1024) -> DataFrame:
-    """Rows of `t` whose whole-number key lies in any of the ranges (low, high): both sides meet on buckets of `width` keys."""
-    div = lambda c: F.call_function("div", c.cast("long"), F.lit(width).cast("long"))
-    cut = ranges.select(F.explode(F.sequence(div(F.col("low")), div(F.col("high")))).alias("bucket"), "low", "high")
-    left, right = t.withColumn("_bucket", div(F.col(column))).alias("l"), cut.alias("r")
-    return left.join(right, (F.col("l._bucket") == F.col("r.bucket")) & F.col(f"l.{column}").between(F.col("r.low"), F.col("r.high")), "left_semi").drop("_bucket")
+#: Keys of a block hold so many bits less from one size of block to the next.
+_BLOCK_BITS = 8
+
+
+def range_join(t: DataFrame, ranges: DataFrame, column: str) -> DataFrame:
+    """Rows of `t` whose whole-number key lies in any of the ranges (low, high). A range is laid out in blocks of 1, 256, 256 ** 2 ... keys, few
+    of each size however wide it is; each distinct key of `t` looks for its block of every size that occurs, and the found keys pick the
+    rows."""
+    bits, kind = _BLOCK_BITS, "array<struct<q: int, block: bigint>>"
+    up, down = f"shiftleft(shiftright(s.l + {(1 << bits) - 1}, {bits}), {bits})", f"shiftleft(shiftright(s.r, {bits}), {bits})"
+    left = f"least({up}, s.r)"
+    right = f"greatest({down}, {left})"
+    piece = lambda a, z: f"IF({a} < {z}, transform(sequence({a}, {z} - 1), x -> named_struct('q', q, 'block', x)), CAST(array() AS {kind}))"
+    step = f"named_struct('l', shiftright({left}, {bits}), 'r', shiftright({right}, {bits}), 'out', CAST(concat(s.out, {piece('s.l', left)}, {piece(right, 's.r')}) AS {kind}))"
+    blocks = F.expr(f"aggregate(sequence(0, {63 // bits}), named_struct('l', low, 'r', high, 'out', CAST(array() AS {kind})), (s, q) -> IF(s.l >= s.r, s, {step})).out")
+    cut = ranges.select(F.col("low").cast("long").alias("low"), (F.col("high").cast("long") + 1).alias("high")).filter("low < high")
+    cut = cut.select(F.inline(blocks)).distinct()
+    sizes = F.broadcast(cut.select("q").distinct())  # nine at most
+    keys = t.select(F.col(column).alias("_key")).distinct().crossJoin(sizes).withColumn("block", F.expr(f"shiftright(CAST(_key AS BIGINT), q * {bits})"))
+    found = keys.join(cut, ["q", "block"], "left_semi").select("_key").distinct()
+    return t.join(found, F.col(column) == F.col("_key"), "left_semi")
 
 
 def select_cols(t: DataFrame, keys: str, column: str = "i", kind: str = "long", transposed: DataFrame | None = None) -> DataFrame:

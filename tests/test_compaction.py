@@ -17,3 +17,37 @@ def test_compaction_keeps_each_orientation(spark, write):
     assert {o: cells(o) for o in want} == want
     log.major_compact()
     assert {o: cells(o) for o in want} == want
+
+
+def test_a_crash_between_write_and_commit_changes_nothing(spark, monkeypatch):
+    from semimul.plans import staging
+
+    log = PartialLog(spark, fresh(spark, "log"))
+    run = spark.createDataFrame([(1, 10, 2)], "i long, j long, v long")
+    log.append(run, "r0")
+    before = log.manifest()
+
+    def crash(self, path, value):
+        raise RuntimeError("the writer died")
+
+    with monkeypatch.context() as m:
+        m.setattr(staging.Files, "write_json", crash)
+        with pytest.raises(RuntimeError):
+            log.append(run, "r1")
+        with pytest.raises(RuntimeError):
+            log.major_compact()
+    again = PartialLog(spark, log.path)
+    assert again.manifest() == before and [r.v for r in again.scan().collect()] == [2]
+    assert [r.v for r in again.scan(allow_uncommitted=True).collect()] == [4]
+    assert again.append(run, "r1") and [r.v for r in again.scan().collect()] == [4]
+
+
+def test_of_two_writers_one_fails(spark):
+    log = PartialLog(spark, fresh(spark, "log"))
+    log.append(spark.createDataFrame([(1, 10, 2)], "i long, j long, v long"), "r0")
+    stale = log.manifest() | {"generation": 0}
+    with pytest.raises(OSError):
+        log._commit(stale)
+    assert log.manifest()["runs"] == ["r0"]
+    log.vacuum([])
+    assert log.manifest()["runs"] == ["r0"]
