@@ -23,7 +23,7 @@ def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = find(table(spark, sf_dir, "documents").select("doc_id", "text"))
     told = lambda name: F.array_join(F.transform(name, lambda s: F.concat_ws(":", s["kind"], s["start"].cast("string"), s["end"].cast("string"))), ",")
     number = lambda kind: F.size(F.filter("base", lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
-    return found.select("doc_id", *[number(k) for k in KINDS], F.sha2(told("base").cast("binary"), 256).alias("base_sha256"), told("spans").alias("spans"))
+    return found.select("doc_id", *[number(k) for k in KINDS[:4]], F.sha2(told("base").cast("binary"), 256).alias("base_sha256"), told("spans").alias("spans"), F.size(F.filter("spans", lambda s: s["kind"] == "secret")).cast("long").alias("n_secret"), (F.size("spans") - F.size("base")).cast("long").alias("n_added"))
 
 
 def op7_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
