@@ -161,18 +161,87 @@ def test_line_dedup_equals_brute_force(spark, corpus):
     assert sum(d for _, d, _ in got.values()) > 10
 
 
-def test_substring_dedup_equals_brute_force(spark, corpus):
-    size, count, cut = 35, Counter(), {}
-    for i, t in corpus.items():
-        cut[i] = (t or "").split()
-        count.update(tuple(cut[i][k : k + size]) for k in range(len(cut[i]) - size + 1))
-    got = {r.id: (r.n_words, r.n_removed, r.kept) for r in substring_dedup.remove_repeats(frame(spark, corpus.items())).collect()}
+def brute_repeats(texts, size=35):
+    count, cut, out = Counter(), {i: (t or "").split() for i, t in texts.items()}, {}
+    for w in cut.values():
+        count.update(tuple(w[k : k + size]) for k in range(len(w) - size + 1))
     for i, w in cut.items():
         gone = set()
         for k in range(len(w) - size + 1):
             if count[tuple(w[k : k + size])] > 1:
                 gone.update(range(k, k + size))
-        assert got[i] == (len(w), len(gone), " ".join(x for k, x in enumerate(w) if k not in gone)), i
+        out[i] = (len(w), len(gone), " ".join(x for k, x in enumerate(w) if k not in gone))
+    return out
+
+
+def passages(seed):
+    """Long passages that documents share in part, in chains, nested, and within one document; runs and repetitions of many lengths."""
+    rng, texts = np.random.default_rng(seed), {}
+    long_ = words(rng, 1200)
+    for _ in range(30):
+        a = int(rng.integers(0, 1100))
+        texts[len(texts)] = " ".join(words(rng, int(rng.integers(0, 60))) + long_[a : a + int(rng.integers(20, 500))] + words(rng, int(rng.integers(0, 60))))
+    for _ in range(12):
+        w = list(long_[100:900])
+        for p in rng.integers(0, len(w), int(rng.integers(0, 6))):
+            w[p] = f"x{rng.integers(0, 99)}"
+        texts[len(texts)] = " ".join(w)
+    for k in range(20):
+        unit = [f"u{x}" for x in rng.integers(0, 4, int(rng.integers(1, 9)))]
+        texts[len(texts)] = " ".join(words(rng, 20) + (unit * 60)[: int(rng.integers(20, 300))] + words(rng, 20))
+    for _ in range(10):
+        texts[len(texts)] = " ".join(f"b{x}" for x in rng.integers(0, 2, int(rng.integers(30, 400))))
+    part = words(rng, 70)
+    texts[len(texts)] = " ".join(part + words(rng, 10) + part + words(rng, 10) + part[:50])
+    return texts
+
+
+def test_substring_dedup_equals_brute_force(spark, corpus):
+    got = {r.id: (r.n_words, r.n_removed, r.kept) for r in substring_dedup.remove_repeats(frame(spark, corpus.items())).collect()}
+    assert got == brute_repeats(corpus)
+
+
+@pytest.mark.parametrize("seed, parts", [(1, 1), (2, 3), (3, 7), (4, 25)])
+def test_substring_dedup_of_long_passages_equals_brute_force(spark, seed, parts):
+    """However the documents lie in batches, ids in any order."""
+    texts = passages(seed)
+    ids = np.random.default_rng(seed).permutation(len(texts)).tolist()
+    texts = {ids[i]: t for i, t in texts.items()}
+    got = {r.id: (r.n_words, r.n_removed, r.kept) for r in substring_dedup.remove_repeats(frame(spark, texts.items()).repartition(parts)).collect()}
+    assert got == brute_repeats(texts)
+
+
+def test_substring_dedup_with_string_ids(spark):
+    texts = passages(5)
+    docs = frame(spark, texts.items()).withColumn("doc_id", F.concat(F.lit("d"), F.col("doc_id").cast("string")))
+    got = {r.id: (r.n_words, r.n_removed, r.kept) for r in substring_dedup.remove_repeats(docs).collect()}
+    assert got == {f"d{i}": x for i, x in brute_repeats(texts).items()}
+
+
+def test_runs_are_named_with_their_length():
+    """Equal runs of different lengths get different names, equal ones the same, and hashes of words compose whatever the bracketing."""
+    U = np.uint64
+    words_ = np.array([5, 5, 5, 5, 7, 5, 5, 5, 8, 5, 5, 5, 5, 7], dtype=U)
+    named = substring_dedup.first_symbols(words_, np.array([0]))
+    named.name_runs(0)
+    assert named.starts.tolist() == [0, 4, 5, 8, 9, 13] and named.names[0] == named.names[4] != named.names[2]
+    assert named.low[2] <= 4 and named.high[2] >= 9 and named.low[0] < 0 and named.high[-1] > 14
+    rng = np.random.default_rng(0)
+    some = rng.integers(0, 3, 60).astype(U)
+    a, b = (substring_dedup.first_symbols(np.concatenate((x, some)), np.array([0])) for x in (some[:0], rng.integers(0, 3, 37).astype(U)))
+    whole = lambda s: [s.round(k) for k in range(12)] and s
+    fold = lambda s, at: [int(h) for h in s.h[s.starts >= at]]
+    one = whole(a)
+    if len(one.h) == 1:
+        direct = U(0)
+        for x in substring_dedup.mix64(some):
+            direct = direct * substring_dedup._BASE + x
+        assert fold(one, 0) == [int(direct)]
+
+
+def test_the_plan_names_in_rounds(spark):
+    plan = substring_dedup.remove_repeats(frame(spark, [(1, "a b")]))._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("MapInArrow") >= substring_dedup.ROUNDS + 2 and plan.count("names#") >= substring_dedup.ROUNDS - 1
 
 
 def test_symbols_of_equal_stretches_agree():
@@ -183,6 +252,7 @@ def test_symbols_of_equal_stretches_agree():
         w = np.concatenate((rng.integers(0, 9, rng.integers(0, 30)).astype(np.uint64), shared, rng.integers(0, 9, rng.integers(0, 30)).astype(np.uint64)))
         at = next(k for k in range(len(w)) if np.array_equal(w[k : k + 35], shared))
         windows, first, last = substring_dedup.anchors(w, np.array([0]), 35)
+        assert (first >= windows).all() and (last <= windows + 35).all()
         k = int(np.flatnonzero(windows == at)[0])
         seen.add((int(first[k]) - at, int(last[k]) - at))
     assert len(seen) == 1
