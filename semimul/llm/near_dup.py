@@ -18,7 +18,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from semimul.llm.common import Scratch, WordHashes, chunks, mix64, spread_join
+from semimul.llm.common import HOT_SHARE, Scratch, WordHashes, chunks, mix64, spread_join
 
 #: Rows a band and bands: a pair at similarity 0.8 shares no bucket once in two million pairs, and is then not linked.
 ROWS, BANDS = 6, 48
@@ -131,28 +131,32 @@ def components(edges: DataFrame, scratch: Scratch, name: str) -> DataFrame:
     """(id, comp) for each end of the undirected edges (a, b): the least id reachable. A node takes the least label next to it and hands it to
     the node whose id was its label, so that whole trees are hooked at once, and labels jump through their labels' labels. Rounds go on
     until no label moves and grow with the logarithm of a component's width, whatever the order of its ids (a simulated path of a million nodes
-    took 20 to 25); each round is a written table. Nodes with very many links, and labels of very many nodes, are dealt over tasks."""
-    both = scratch.save(edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), f"{name}-edges", few=True)
-    labels = scratch.save(both.groupBy("a").agg(F.least("a", F.min("b")).alias("comp"), F.count(F.lit(1)).alias("degree")).select(F.col("a").alias("id"), "comp", "degree"), f"{name}-0", few=True)
-    n_edges, n_nodes, none = both.count(), labels.count(), F.lit(None).cast(labels.schema["id"].dataType)
+    took 20 to 25); each round is a written table. Nodes with very many links are dealt over tasks."""
+    both = scratch.save(edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), f"{name}-both", few=True)
+    # links to a node of very many are dealt over salts once; its label is then copied for each in every round
+    share = F.lit(HOT_SHARE / max(1, both.count()))
+    labels = both.groupBy("a").agg(F.least("a", F.min("b")).alias("comp"), F.ceil(F.count(F.lit(1)) * share).cast("int").alias("salts"))
+    labels = scratch.save(labels.select(F.col("a").alias("id"), "comp", "salts"), f"{name}-0", few=True)
+    hot = F.broadcast(labels.filter("salts > 1").select(F.col("id").alias("b"), "salts"))  # fewer than HOT_SHARE
+    both = scratch.save(both.join(hot, "b", "left").select("a", "b", F.coalesce(F.pmod(F.xxhash64("a"), "salts").cast("int"), F.lit(0)).alias("salt")), f"{name}-edges", few=True)
+    scratch.drop(f"{name}-both")
+    none = F.lit(None).cast(labels.schema["id"].dataType)
     for i in count(1):
-        at_b = labels.select(F.col("id").alias("b"), "comp", "degree")
-        told = spread_join(both, at_b.drop("degree"), ["b"], at_b.select("b", F.col("degree").alias("weight")), n_edges, ["a"])
-        near = told.groupBy("a").agg(F.min("comp").alias("near"))
-        low = labels.join(near, labels.id == near.a).select("id", "comp", "degree", F.least("comp", "near").alias("low"))
+        copied = labels.select(F.col("id").alias("b"), "comp", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"))
+        near = both.join(copied, ["b", "salt"]).groupBy("a").agg(F.min("comp").alias("near"))
+        low = labels.join(near, labels.id == near.a).select("id", "comp", "salts", F.least("comp", "near").alias("low"))
         # to the node itself and, where the label falls, to the old label's node
-        own = F.struct("id", "comp", "degree", "low")
-        root = F.struct(F.col("comp").alias("id"), none.alias("comp"), F.lit(None).cast("long").alias("degree"), "low")
+        own = F.struct("id", "comp", "salts", "low")
+        root = F.struct(F.col("comp").alias("id"), none.alias("comp"), F.lit(None).cast("int").alias("salts"), "low")
         told = low.select(F.explode(F.when(F.col("low") < F.col("comp"), F.array(own, root)).otherwise(F.array(own))).alias("x")).select("x.*")
-        low = told.groupBy("id").agg(F.max("comp").alias("comp"), F.max("degree").alias("degree"), F.min("low").alias("low"))
-        held = low.groupBy("low").agg(F.count(F.lit(1)).alias("weight"))
-        jump = held.join(labels.select(F.col("id").alias("low"), F.col("comp").alias("far")), "low").select("low", "far")
-        new = spread_join(low, jump, ["low"], held, n_nodes, ["id"])
-        new = new.select("id", "degree", F.least("low", "far").alias("new"), (F.least("low", "far") != F.col("comp")).alias("moved"))
+        low = told.groupBy("id").agg(F.max("comp").alias("comp"), F.max("salts").alias("salts"), F.min("low").alias("low"))
+        jump = labels.select(F.col("id").alias("low"), F.col("comp").alias("far"))
+        new = low.join(jump, "low", "left").withColumn("far", F.coalesce("far", "low"))
+        new = new.select("id", "salts", F.least("low", "far").alias("new"), (F.least("low", "far") != F.col("comp")).alias("moved"))
         new = scratch.save(new, f"{name}-{i}", few=True)
         moved = not new.filter("moved").isEmpty()
         scratch.drop(f"{name}-{i - 1}")
-        labels = new.select("id", F.col("new").alias("comp"), "degree")
+        labels = new.select("id", F.col("new").alias("comp"), "salts")
         if not moved:
             scratch.drop(f"{name}-edges")
             return labels.select("id", "comp")
