@@ -16,13 +16,16 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from semimul.llm.common import chunks
-from semimul.llm.toxicity import held_out
+from semimul.llm.toxicity import held_out, sampled
 
-#: Labelled documents of each class that training reads at most, the longest text among them, and the size of a dictionary.
-MAX_A_CLASS, MAX_TRAIN_BYTES, DICTIONARY_BYTES = 3000, 50_000, 110_000
+#: Labelled documents of each class that training reads at most, the bytes it reads of each, and the size of a dictionary.
+MAX_A_CLASS, MAX_TRAIN_BYTES, DICTIONARY_BYTES = 3000, 16_000, 110_000
 #: Texts are compressed in blocks of this size, so that memory stays bounded and a bad passage in a good text shows.
 BLOCK = 2000
 LEVEL = 3
+#: The features that the calibration uses, chosen by `selection.quality` on rows that are not held out: the constant, the difference of the
+#: compressed sizes, its least over the blocks, the ratio, how far the ratio and the least ratio of a block fall below a quarter, shortness.
+USED = (0, 1, 2, 3, 4, 5, 6)
 
 
 def build_dictionary(texts: list[bytes], size: int = DICTIONARY_BYTES) -> bytes:
@@ -41,15 +44,16 @@ class Model:
     good: bytes
     bad: bytes
     weights: tuple[float, ...] = (0.0,) * 7
+    used: tuple[int, ...] = USED
 
     def __post_init__(self):
         self._tools = None
 
     def __getstate__(self):
-        return (self.good, self.bad, self.weights)
+        return (self.good, self.bad, self.weights, self.used)
 
     def __setstate__(self, state):
-        self.good, self.bad, self.weights = state
+        self.good, self.bad, self.weights, self.used = state
         self._tools = None
 
     def sizes(self, text: bytes) -> np.ndarray:
@@ -71,7 +75,8 @@ class Model:
         apart = (sizes[:, 2] - sizes[:, 1]) / sizes[:, 1:].sum(axis=1)
         ratio = (good + bad) / (2 * n + 20)
         ratios = sizes[:, 1:].sum(axis=1) / (2 * sizes[:, 0] + 20)
-        return [1.0, 10 * (bad - good) / (good + bad), 10 * apart.min(), ratio, max(0.0, 0.25 - ratio), max(0.0, 0.25 - ratios.min()), 1 / (1 + n / 100)]
+        every = [1.0, 10 * (bad - good) / (good + bad), 10 * apart.min(), ratio, max(0.0, 0.25 - ratio), max(0.0, 0.25 - ratios.min()), 1 / (1 + n / 100)]
+        return [x if k in self.used else 0.0 for k, x in enumerate(every)]
 
     def score(self, text: bytes) -> float:
         z = float(np.dot(self.weights, self.features(text)))
@@ -94,27 +99,32 @@ def calibrate(x: np.ndarray, y: np.ndarray, prior: float, ridge: float = 1e-4) -
     return tuple(map(float, w))
 
 
-def train(good: list[bytes], bad: list[bytes], prior: float) -> Model:
+def train(good: list[bytes], bad: list[bytes], prior: float, used: tuple[int, ...] = USED) -> Model:
     """Dictionaries from two thirds of the texts, calibration on the rest."""
     if not good or not bad:
         return Model(b"x" * 8, b"x" * 8, (10.0 if good else -10.0 if bad else 0.0, *(0.0,) * 6))
     cut = lambda texts: ([t for i, t in enumerate(texts) if i % 3 or len(texts) < 3], [t for i, t in enumerate(texts) if not i % 3 or len(texts) < 3])
     (g, gt), (b, bt) = cut(good), cut(bad)
-    model = Model(build_dictionary(g), build_dictionary(b))
+    model = Model(build_dictionary(g), build_dictionary(b), used=used)
     x = np.array([model.features(t) for t in gt + bt])
     model.weights = calibrate(x, np.array([1.0] * len(gt) + [0.0] * len(bt)), float(np.clip(prior, 0.01, 0.99)))
     return model
 
 
 def fit(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", max_a_class: int = MAX_A_CLASS, max_bytes: int = MAX_TRAIN_BYTES) -> Model:
-    """Trains on at most `max_a_class` labelled rows of each class that are not held out, chosen by hash; longer texts than `max_bytes` are
-    not trained on."""
+    """Trains on at most `max_a_class` labelled rows of each class that are not held out, chosen by hash. Of a text longer than `max_bytes`, blocks
+    from all over it, of so many bytes together, are read (`toxicity.sampled`).
+
+    Rows of `labels` whose id or label is null, or whose label is neither 0 nor 1, are left out; repeated rows count once. A document that
+    is labelled both ways is in both classes. Null texts count as empty. Without documents of one class every score is that of the other;
+    with neither (empty tables) every score is 0.5. Other columns are not read. Ties in the hash are broken by id.
+    """
     usable = labels.filter(~held_out(F.col(id_col))).select(F.col(id_col).alias("id"), F.col(label_col).cast("int").alias("y")).filter("id is not null and y in (0, 1)").distinct()
     prior = usable.agg(F.avg("y")).first()[0]
     order = [F.xxhash64("id"), F.col("id")]
     chosen = usable.filter("y = 1").orderBy(*order).limit(max_a_class).unionByName(usable.filter("y = 0").orderBy(*order).limit(max_a_class))
-    source = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("binary").alias("text")).filter(F.octet_length("text") <= max_bytes)
-    rows = source.join(F.broadcast(chosen), "id").select("y", "text").toArrow().to_pylist()
+    source = docs.select(F.col(id_col).alias("id"), sampled(F.col(text_col), max_bytes, BLOCK).alias("text"))
+    rows = source.join(F.broadcast(chosen), "id").select("y", "text").toArrow().to_pylist()  # `max_a_class` of either class
     rows.sort(key=lambda r: (r["y"], bytes(r["text"])))
     rng = np.random.default_rng(0)
     rows = [rows[i] for i in rng.permutation(len(rows))]

@@ -18,8 +18,11 @@ from pyspark.sql import functions as F
 
 from semimul.llm.common import chunks
 
-#: Documents of each kind that training reads at most (in expectation, for the unlabelled), and the longest text among them.
-MAX_TOXIC, MAX_UNLABELLED, MAX_TRAIN_BYTES = 4000, 6000, 50_000
+#: Documents of each kind that training reads at most (in expectation, for the unlabelled), and the bytes it reads of each.
+MAX_TOXIC, MAX_UNLABELLED, MAX_TRAIN_BYTES = 4000, 6000, 16_000
+#: Least share of the toxic texts that a feature must be in, how much more frequent it must be there, and by how many standard deviations;
+#: chosen by `selection.toxicity` on rows that are not held out.
+SUPPORT, LIFT, SURPRISE = 0.01, 3.0, 6.0
 #: Dimensions of the hashed features.
 DIMENSIONS = 1 << 20
 #: Lengths in bytes of the word beginnings that are features.
@@ -33,6 +36,14 @@ def held_out(doc_id: Column) -> Column:
     return F.crc32(doc_id.cast("string").cast("binary")) % 3 == 1
 
 
+def sampled(text: Column, most: int, block: int = 2000) -> Column:
+    """The bytes of a text; of one longer than `most`, blocks from all over it at equal distances, of `most` bytes together. Null is empty."""
+    raw = F.coalesce(text.cast("binary"), F.lit(b""))
+    n, pieces = F.octet_length(raw), max(2, most // block)
+    at = F.transform(F.sequence(F.lit(0), F.lit(pieces - 1)), lambda k: F.substring(raw, (F.floor(k * (n - block) / (pieces - 1)) + 1).cast("int"), F.lit(block)))
+    return F.when(n <= most, raw).otherwise(F.aggregate(at, F.lit(b""), lambda a, x: F.concat(a, x)))
+
+
 def words(text: bytes) -> set[bytes]:
     return set(text.lower().translate(_LETTERS).split())
 
@@ -82,7 +93,7 @@ def _matrix(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     return np.concatenate(ids or [empty]), np.concatenate(owner or [empty])
 
 
-def train(toxic: list[bytes], unlabelled: list[bytes], prior: float, *, steps: int = 400, rate: float = 0.1, decay: float = 1e-4, support: float = 0.01, lift: float = 3.0, surprise: float = 6.0) -> Model:
+def train(toxic: list[bytes], unlabelled: list[bytes], prior: float, *, steps: int = 400, rate: float = 0.1, decay: float = 1e-4, support: float = SUPPORT, lift: float = LIFT, surprise: float = SURPRISE) -> Model:
     """Fits the linear model. Features of at least a share `support` of the toxic texts that are `lift` times as frequent in toxic as in unlabelled text at least, and by
     `surprise` standard deviations, get a weight."""
     prior = float(np.clip(prior, 1e-3, 0.9))
@@ -118,15 +129,21 @@ def train(toxic: list[bytes], unlabelled: list[bytes], prior: float, *, steps: i
 
 def fit(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", max_toxic: int = MAX_TOXIC, max_unlabelled: int = MAX_UNLABELLED, max_bytes: int = MAX_TRAIN_BYTES) -> Model:
     """Trains on rows that are not held out: at most `max_toxic` documents whose label is 1, chosen by hash, and about `max_unlabelled`
-    documents whatever their label. Longer texts than `max_bytes` are not trained on. The share of toxic documents is that of the labels."""
+    documents whatever their label. Of a text longer than `max_bytes`, blocks from all over it are read (`sampled`). The share of toxic
+    documents is that of the labels.
+
+    Rows of `labels` whose id or label is null, or whose label is neither 0 nor 1, are left out; repeated rows of a toxic document count
+    once, and one that is labelled both ways is toxic. Null texts count as empty. Without toxic or without unlabelled documents (empty
+    tables too) every score is the share of toxic labels, at least a thousandth. Other columns are not read. Ties in the hash are broken by id.
+    """
     usable = labels.filter(~held_out(F.col(id_col))).select(F.col(id_col).alias("id"), F.col(label_col).alias("y")).filter("id is not null and y in (0, 1)")
     prior = usable.agg(F.avg("y")).first()[0]
     chosen = usable.filter("y = 1").select("id").distinct().orderBy(F.xxhash64("id"), "id").limit(max_toxic)
-    source = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("binary").alias("text")).filter((F.octet_length("text") <= max_bytes) & ~held_out(F.col("id")))
+    source = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).filter(~held_out(F.col("id")))
     rate = min(1.0, max_unlabelled / max(1, docs.count()))
     some = source.filter(F.pmod(F.xxhash64(F.lit("unlabelled"), "id"), F.lit(1 << 20)) < int(rate * (1 << 20)))
-    toxic = [bytes(x) for x in source.join(F.broadcast(chosen), "id").select("text").toArrow().column(0).to_pylist()]
-    unlabelled = [bytes(x) for x in some.select("text").toArrow().column(0).to_pylist()]
+    toxic = [bytes(x) for x in source.join(F.broadcast(chosen), "id").select(sampled(F.col("text"), max_bytes).alias("text")).toArrow().column(0).to_pylist()]
+    unlabelled = [bytes(x) for x in some.select(sampled(F.col("text"), max_bytes).alias("text")).toArrow().column(0).to_pylist()]
     return train(toxic, unlabelled, prior or 0.0)
 
 
