@@ -22,7 +22,7 @@ from semimul.llm.common import chunks
 MAX_TOXIC, MAX_UNLABELLED, MAX_TRAIN_BYTES = 4000, 6000, 16_000
 #: Least share of the toxic texts that a feature must be in, how much more frequent it must be there, and by how many standard deviations;
 #: chosen by `selection.toxicity` on rows that are not held out.
-SUPPORT, LIFT, SURPRISE = 0.01, 3.0, 6.0
+SUPPORT, LIFT, SURPRISE = 0.005, 2.0, 4.0
 #: Dimensions of the hashed features.
 DIMENSIONS = 1 << 20
 #: Lengths in bytes of the word beginnings that are features.
