@@ -375,12 +375,13 @@ def _repeated(rows: DataFrame, least: bool = False) -> DataFrame:
     has settled and already sent on are dealt at random, since nothing has to be counted for them."""
     first = F.expr(f"code & {_FIRST} = {_FIRST}")
     salt = F.when(first, F.lit(0).cast("long")).otherwise(F.xxhash64("id", "code"))
-    key = Window.partitionBy("name", "check", salt)
-    counted = rows.withColumn("n", F.count(F.lit(1)).over(key))
-    code = F.expr(f"code & ~{_FIRST | _TWICE}")
+    key = Window.partitionBy("name", "check", "salt")
+    found, code = [F.count(F.lit(1)).over(key).alias("n")], F.expr(f"code & ~{_FIRST | _TWICE}")
     if least:
-        counted = counted.withColumn("least", F.min(F.struct("id", "code")).over(key))
+        found.append(F.min(F.struct("id", "code")).over(key).alias("least"))
         code = code.bitwiseOR(F.when(first & (F.col("least") == F.struct("id", "code")), F.lit(_FIRST)).otherwise(F.lit(0)))
+    # both over one window: a second one would be dealt anew
+    counted = rows.withColumn("salt", salt).select("id", "code", *found)
     return counted.filter(f"n > 1 or code & {_TWICE} = {_TWICE}").select("id", code.cast("long").alias("code"))
 
 
