@@ -47,8 +47,8 @@ def _remove_all() -> None:
             pass
 
 
-#: Runtime setting: shuffle files of a query go when the query ends.
-_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+#: Runtime settings while a step is written: its shuffle files go when it ends, and the driver keeps little of its plan's text.
+_STEP = {"spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true", "spark.sql.maxPlanStringLength": "4096"}
 #: Bytes of an operator's largest written table for each file of its small results.
 BYTES_A_FILE = 32 << 20
 #: A key with more than one in so many of all rows is hot; fewer than so many keys can be.
@@ -58,7 +58,7 @@ HOT_SHARE = 20_000
 class Scratch:
     """Tables written to the shared folder between the steps of one operator, so that no step is computed twice and a lost executor costs
     no more than the step at hand. `drop` removes a table that no later step reads; what the returned DataFrame still reads goes when the
-    driver ends. The shuffle files of a step go with the step."""
+    driver ends. The shuffle files of a step go with the step, and its broadcast tables soon after."""
 
     def __init__(self, spark: SparkSession, name: str):
         self.spark, self.largest = spark, 0
@@ -70,14 +70,16 @@ class Scratch:
         table: two a core, or one for every `BYTES_A_FILE` of that table where that is more."""
         path = f"{self.root}/{name}"
         most = max(2 * self.spark.sparkContext.defaultParallelism, -(-self.largest // BYTES_A_FILE))
-        before = self.spark.conf.get(_CLEANUP, None)
-        if before is not None:
-            self.spark.conf.set(_CLEANUP, "true")
+        before = {k: v for k in _STEP if (v := self.spark.conf.get(k, None)) is not None}
+        for k in before:
+            self.spark.conf.set(k, _STEP[k])
         try:
             (df.coalesce(most) if few else df).write.mode("overwrite").parquet(path)
         finally:
-            if before is not None:
-                self.spark.conf.set(_CLEANUP, before)
+            for k, v in before.items():
+                self.spark.conf.set(k, v)
+        # broadcast tables of finished steps stay in the driver's memory until it collects its garbage; many small steps would fill it
+        self.spark.sparkContext._jvm.System.gc()
         if not few:
             jvm = self.spark.sparkContext._jvm
             target = jvm.org.apache.hadoop.fs.Path(path)
