@@ -3,10 +3,13 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
+import gc
 import tempfile
 import uuid
 
 import numpy as np
+import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -91,6 +94,15 @@ class Scratch:
         _remove(self.spark, f"{self.root}/{name}")
 
 
+def release() -> None:
+    """Gives memory that training has used on the driver back to the system."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim:
+        trim(0)
+
+
 def spread_join(rows: DataFrame, table: DataFrame, keys: list[str], weights: DataFrame, total: int, by: list[str], how: str = "inner") -> DataFrame:
     """`rows` joined with `table` on `keys`, with hot keys dealt over many tasks. `weights` has a row (keys, weight) for each key: how many of
     the `total` rows hold it. Keys of more than one in HOT_SHARE of the rows, fewer than HOT_SHARE by their definition, are broadcast with

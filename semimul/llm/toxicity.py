@@ -16,7 +16,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from semimul.llm.common import chunks
+from semimul.llm.common import chunks, release
 
 #: Documents of each kind that training reads at most (in expectation, for the unlabelled), and the bytes it reads of each.
 MAX_TOXIC, MAX_UNLABELLED, MAX_TRAIN_BYTES = 4000, 6000, 16_000
@@ -144,7 +144,10 @@ def fit(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col:
     some = source.filter(F.pmod(F.xxhash64(F.lit("unlabelled"), "id"), F.lit(1 << 20)) < int(rate * (1 << 20)))
     toxic = [bytes(x) for x in source.join(F.broadcast(chosen), "id").select(sampled(F.col("text"), max_bytes).alias("text")).toArrow().column(0).to_pylist()]
     unlabelled = [bytes(x) for x in some.select(sampled(F.col("text"), max_bytes).alias("text")).toArrow().column(0).to_pylist()]
-    return train(toxic, unlabelled, prior or 0.0)
+    model = train(toxic, unlabelled, prior or 0.0)
+    del toxic, unlabelled
+    release()
+    return model
 
 
 def score(docs: DataFrame, model: Model, *, text_col: str = "text", name: str = "toxicity") -> DataFrame:
