@@ -146,6 +146,27 @@ def test_components_of_a_long_chain_with_ids_in_any_order(spark):
     assert len(saved) < 40
 
 
+@pytest.mark.parametrize("local, steps", [(200_000, 2), (-1, 8)])
+def test_small_graphs_take_no_rounds(spark, monkeypatch, local, steps):
+    """The components of a small graph take two written tables; rounds find the same, of ids of either kind and of no edges."""
+    from semimul.llm.common import Scratch
+
+    monkeypatch.setattr(near_dup, "LOCAL_EDGES", local)
+    edges, saved = [(9, 4), (4, 7), (7, 9), (12, 11), (3, 3), (11, 30)], []
+
+    class Counted(Scratch):
+        def save(self, df, name, few=False):
+            saved.append(name)
+            return super().save(df, name, few)
+
+    for kind, as_id in (("long", int), ("string", "id-{:03d}".format)):
+        got = near_dup.components(spark.createDataFrame([(as_id(a), as_id(b)) for a, b in edges], f"a {kind}, b {kind}"), Counted(spark, "small"), "c")
+        assert {r.id: r.comp for r in got.collect()} == {as_id(x): as_id(y) for x, y in {9: 4, 4: 4, 7: 4, 12: 11, 11: 11, 30: 11, 3: 3}.items()}
+        assert len(saved) <= steps
+        saved.clear()
+    assert near_dup.components(spark.createDataFrame([], "a long, b long"), Scratch(spark, "none"), "c").count() == 0
+
+
 def test_line_dedup_equals_brute_force(spark, corpus):
     got = {r.doc_id: (r.n_lines, r.n_dropped, r.text) for r in line_dedup.drop_repeated_lines(frame(spark, corpus.items())).collect()}
     key = lambda x: "".join(c.lower() if c.isascii() else c for c in x.strip(" \t\n\x0b\x0c\r"))
