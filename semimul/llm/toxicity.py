@@ -16,7 +16,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from semimul.llm.common import chunks, release
+from semimul.llm.common import release, text_chunks, with_text
 
 #: Documents of each kind that training reads at most (in expectation, for the unlabelled), and the bytes it reads of each.
 MAX_TOXIC, MAX_UNLABELLED, MAX_TRAIN_BYTES = 4000, 6000, 16_000
@@ -154,13 +154,14 @@ def score(docs: DataFrame, model: Model, *, text_col: str = "text", name: str =
     """`docs` with the double column `name` appended: how likely the whole text is toxic. Null texts count as empty; a column called
     `name` in the input is replaced; repeated rows are scored each; an empty table gives an empty result."""
     rest = [c for c in docs.columns if c != name]
-    source = docs.select(*rest, F.col(text_col).cast("binary").alias("__in"))
+    source, place = with_text(docs, rest, text_col)
 
     def run(batches):
         for batch in batches:
-            texts = batch.column(len(rest)).to_pylist()
-            for start, end in chunks(texts):
-                made = pa.array([model.score(t or b"") for t in texts[start:end]], pa.float64())
+            for start, end, texts in text_chunks(batch.column(place)):
+                made = pa.array([model.score(t or b"") for t in texts], pa.float64())
                 yield pa.RecordBatch.from_arrays([batch.column(i).slice(start, end - start) for i in range(len(rest))] + [made], names=[*rest, name])
+        model.known.clear()
+        release()
 
     return source.mapInArrow(run, docs.select(*rest).schema.add(name, "double"))

@@ -167,6 +167,19 @@ def test_small_graphs_take_no_rounds(spark, monkeypatch, local, steps):
     assert near_dup.components(spark.createDataFrame([], "a long, b long"), Scratch(spark, "none"), "c").count() == 0
 
 
+def test_texts_go_to_the_workers_once(spark):
+    """No batch of the scoring or encoding stage holds a text twice, and encoding for the pipeline does not send it back."""
+    from corpus_pipeline import encode
+
+    docs = frame(spark, [(1, "a b"), (2, None), (3, "")])
+    plans = [d._jdf.queryExecution().analyzed().toString() for d in (toxicity.score(docs, toxicity.Model({}, 0.0)), bpe.encode(docs))]
+    assert not any("cast(text" in p for p in plans)
+    done = encode(spark, docs, "")
+    assert done.columns == ["doc_id", "lang", "source", "n_tokens", "ids"]
+    assert "text" not in done._jdf.queryExecution().analyzed().toString().split("\n")[0]
+    assert {r.doc_id: r.n_tokens for r in done.collect()} == {1: 2, 2: 0, 3: 0}
+
+
 def test_line_dedup_equals_brute_force(spark, corpus):
     got = {r.doc_id: (r.n_lines, r.n_dropped, r.text) for r in line_dedup.drop_repeated_lines(frame(spark, corpus.items())).collect()}
     key = lambda x: "".join(c.lower() if c.isascii() else c for c in x.strip(" \t\n\x0b\x0c\r"))
