@@ -65,3 +65,21 @@ def test_planner_makes_no_product(operands):
     got = cost.choose(a, b, broadcast_entries=1)
     assert got["method"] == "summed" and abs(got["n_c"] - cost.result_entries(a, b).first()[0]) < 0.2 * got["n_c"]
     assert multiply.multiply(a, b, method="partials").count() == cost.result_entries(a, b).first()[0]
+
+
+def test_an_unbounded_cache_merges_seldom(monkeypatch):
+    """Rows that go through the sum grow with what is added, not with its square."""
+    import pyarrow as pa
+
+    from semimul.operators.multiply import _Cache
+
+    seen, schema = [], pa.schema([("i", pa.int64()), ("j", pa.int64()), ("v", pa.int64())])
+    concat = pa.concat_tables
+    monkeypatch.setattr(pa, "concat_tables", lambda ts: seen.append(sum(t.num_rows for t in ts)) or concat(ts))
+    cache = _Cache(["i", "j"], "sum", schema, None)
+    for q in range(64):
+        ids = [*range(q * 100, q * 100 + 100), 0]
+        assert not list(cache.add(pa.table({"i": ids, "j": ids, "v": [1] * 101}, schema=schema)))
+    got = {i: v for b in cache.rest() for i, v in zip(b["i"].to_pylist(), b["v"].to_pylist())}
+    assert got == {i: 1 + 64 * (i == 0) for i in range(6400)}
+    assert sum(seen) < 10 * 6464
