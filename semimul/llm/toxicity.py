@@ -127,8 +127,24 @@ def train(toxic: list[bytes], unlabelled: list[bytes], prior: float, *, steps: i
     return Model({int(i): float(x) for i, x in zip(np.flatnonzero(use), w)}, float(b))
 
 
+#: Number of the bias among a trained model's features.
+BIAS = -1
+
+
+def _trained(batches, prior: float):
+    """(feature, weight) of the model that the rows (y, text) give, with the bias as a feature of its own."""
+    texts = ([], [])
+    for batch in batches:
+        for y, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+            texts[y].append(bytes(text))
+    model = train(texts[1], texts[0], prior)
+    yield pa.RecordBatch.from_arrays([pa.array([*model.weights, BIAS], pa.int32()), pa.array([*model.weights.values(), model.bias], pa.float64())], names=["feature", "weight"])
+    del texts
+    release()
+
+
 def fit(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", max_toxic: int = MAX_TOXIC, max_unlabelled: int = MAX_UNLABELLED, max_bytes: int = MAX_TRAIN_BYTES) -> Model:
-    """Trains on rows that are not held out: at most `max_toxic` documents whose label is 1, chosen by hash, and about `max_unlabelled`
+    """Trains, in a task, on rows that are not held out: at most `max_toxic` documents whose label is 1, chosen by hash, and about `max_unlabelled`
     documents whatever their label. Of a text longer than `max_bytes`, blocks from all over it are read (`sampled`). The share of toxic
     documents is that of the labels.
 
@@ -142,12 +158,12 @@ def fit(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col:
     source = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).filter(~held_out(F.col("id")))
     rate = min(1.0, max_unlabelled / max(1, docs.count()))
     some = source.filter(F.pmod(F.xxhash64(F.lit("unlabelled"), "id"), F.lit(1 << 20)) < int(rate * (1 << 20)))
-    toxic = [bytes(x) for x in source.join(F.broadcast(chosen), "id").select(sampled(F.col("text"), max_bytes).alias("text")).toArrow().column(0).to_pylist()]
-    unlabelled = [bytes(x) for x in some.select(sampled(F.col("text"), max_bytes).alias("text")).toArrow().column(0).to_pylist()]
-    model = train(toxic, unlabelled, prior or 0.0)
-    del toxic, unlabelled
-    release()
-    return model
+    text = sampled(F.col("text"), max_bytes).alias("text")
+    rows = source.join(F.broadcast(chosen), "id").select(F.lit(1).alias("y"), "id", text).unionByName(some.select(F.lit(0).alias("y"), "id", text))
+    # one task trains, on a sample whose size does not grow with the tables: its texts and features would stand in the driver's memory
+    made = rows.repartition(1).sortWithinPartitions("y", "id", "text").select("y", "text").mapInArrow(lambda b: _trained(b, prior or 0.0), "feature int, weight double").collect()
+    weights = {r.feature: r.weight for r in made}
+    return Model(weights, weights.pop(BIAS)) if weights else train([], [], prior or 0.0)
 
 
 def score(docs: DataFrame, model: Model, *, text_col: str = "text", name: str = "toxicity") -> DataFrame:

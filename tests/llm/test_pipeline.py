@@ -190,3 +190,20 @@ def test_score_equals_the_sum_of_its_features():
     quality = quality_classifier.train(good, bad, 0.8)
     x = np.dot(quality.weights, quality.features(good[0]))
     assert abs(quality.score(good[0]) - 1 / (1 + np.exp(-x))) < 1e-12 and quality.score(good[0]) > 0.5 > quality.score(bad[0])
+
+
+def test_toxicity_trains_in_a_task(spark, monkeypatch):
+    """The sample and its features never stand in the driver's memory, and the model is that of the plain call."""
+    docs = frame(spark, [(n, "vile nasty words" if n % 4 == 0 else f"plain text {n % 7}") for n in range(400)])
+    labels = spark.createDataFrame([(n, int(n % 4 == 0)) for n in range(400)], "doc_id long, toxic int")
+    rows = docs.filter(~toxicity.held_out(F.col("doc_id"))).collect()
+    prior = labels.filter(~toxicity.held_out(F.col("doc_id"))).agg(F.avg("toxic")).first()[0]
+    want = toxicity.train([r.text.encode() for r in rows if r.doc_id % 4 == 0], [r.text.encode() for r in rows], prior)
+
+    def never(*_, **__):
+        raise AssertionError("trained on the driver")
+
+    monkeypatch.setattr(toxicity, "train", never)
+    got = toxicity.fit(docs, labels)
+    assert got.weights.keys() == want.weights.keys() and got.weights
+    assert all(abs(got.weights[i] - want.weights[i]) < 1e-6 for i in want.weights) and abs(got.bias - want.bias) < 1e-6
