@@ -62,3 +62,16 @@ def test_vectors_and_json_keys_are_summed_in_blocks(spark, monkeypatch, tmp_path
     count = lambda k, u: sum(x % 4 == k and x % 31 == u for x in range(n))
     want = {(i, j): sum(count(k, i) * count(k, j) for k in range(4)) for i in range(31) for j in range(31)}
     assert {(r.i, r.j): r.v for r in got.collect()} == {c: v for c, v in want.items() if v}
+
+
+def test_entries_are_not_copied_for_each_block(spark, monkeypatch):
+    """Blocks read written packs: between these and the cells there is no exchange, however many blocks an entry takes part in."""
+    monkeypatch.setattr(blockwise, "FROM_PRODUCTS", 10)
+    monkeypatch.setattr(blockwise, "TASK_ENTRIES", 40)
+    a = spark.createDataFrame([(f"k{k % 7}", i, 1 + (k + i) % 3) for k in range(9) for i in range(k % 4, 90, 3)], "k string, i long, v long")
+    b = spark.createDataFrame([(f"k{k}", f"j{j}", 2 - j % 2) for k in range(3, 12) for j in range(k, 60, 2)], "k string, j string, v long")
+    got = multiply.outer_product(a, b)
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    assert "CartesianProduct" in plan and "Exchange" not in plan
+    cells = lambda t: sorted(map(tuple, t.select("i", "j", "v").collect()))
+    assert cells(got) == cells(multiply.outer_product(a, b, expand="join"))
