@@ -51,3 +51,30 @@ def test_of_two_writers_one_fails(spark):
     assert log.manifest()["runs"] == ["r0"]
     log.vacuum([])
     assert log.manifest()["runs"] == ["r0"]
+
+
+@pytest.mark.parametrize("write", ["both", "ct"])
+def test_large_runs_are_compacted_by_ranges(spark, monkeypatch, write):
+    """No entry of a large run passes an exchange; cells and sums are the same, negative rows and sums of zero included."""
+    from semimul.plans import store
+
+    monkeypatch.setattr(store, "BY_RANGES", 10)
+    monkeypatch.setattr(store, "RANGE_ENTRIES", 40)
+    monkeypatch.setattr(store, "AT_ONCE", 3)
+    monkeypatch.setattr(store, "fold", None)
+    log, want = PartialLog(spark, fresh(spark, "log")), {}
+    for run in range(3):
+        rows = [(x % 13 - 4, x % 7 + run, (x + run) % 5 - 2) for x in range(90)]
+        log.append(spark.createDataFrame(rows, "i long, j long, v long").repartition(4), f"r{run}", write)
+        for i, j, v in rows:
+            want[i, j] = want.get((i, j), 0) + v
+    minor = log.minor_compact(["r0", "r1"])
+    log.vacuum(["r0", "r1"])
+    log.major_compact(prune_zero=write == "ct")
+    log.vacuum([minor, "r2"])
+    if write == "ct":
+        want = {c: v for c, v in want.items() if v}
+    else:
+        assert {(r.i, r.j): r.v for r in log.live("c").collect()} == want and 0 in want.values()
+    got = log.live("ct").collect()
+    assert len(got) == len(want) and {(r.j, r.i): r.v for r in got} == want
