@@ -78,3 +78,15 @@ def test_large_runs_are_compacted_by_ranges(spark, monkeypatch, write):
         assert {(r.i, r.j): r.v for r in log.live("c").collect()} == want and 0 in want.values()
     got = log.live("ct").collect()
     assert len(got) == len(want) and {(r.j, r.i): r.v for r in got} == want
+
+
+def test_a_bounded_pre_sum_stays_bounded(spark, monkeypatch):
+    """Only a pre-sum without a bound on its cache is made in blocks, and then in the order of columns if that is asked for."""
+    from semimul.operators import blockwise, multiply
+
+    monkeypatch.setattr(blockwise, "FROM_PRODUCTS", 10)
+    a = spark.createDataFrame([(k, i, 1) for k in range(5) for i in range(20)], "k long, i long, v long")
+    made = {c: multiply.outer_product(a, a.withColumnRenamed("i", "j"), emit="presum", cache_entries=c, by="j") for c in (100, None)}
+    blocks = {c: "CartesianProduct" in t._jdf.queryExecution().executedPlan().toString() for c, t in made.items()}
+    assert blocks == {100: False, None: True}
+    assert {(r.i, r.j, r.v) for r in made[None].collect()} == {(i, j, 5) for i in range(20) for j in range(20)}
