@@ -27,6 +27,15 @@ def test_large_bands_are_packed_once(operands, monkeypatch, s, options):  # noqa
     assert cells(got) == cells(multiply.outer_product(a, b, s, expand="join"))
 
 
+@pytest.mark.parametrize("s", [PLUS_TIMES, MIN_PLUS])
+def test_large_grids_are_packed_once(operands, monkeypatch, s):  # noqa: F811
+    monkeypatch.setattr(multiply, "BAND_PRODUCTS", 300)
+    a, b = operands
+    got = multiply.grid_product(a, b, s)
+    assert exchanges_nothing(got)
+    assert cells(got) == cells(multiply.outer_product(a, b, s, expand="join"))
+
+
 def test_sums_that_may_overflow_take_the_other_way(spark, operands, monkeypatch):  # noqa: F811
     monkeypatch.setattr(multiply, "BAND_PRODUCTS", 300)
     a, b = operands
